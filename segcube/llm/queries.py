@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from segcube.llm import encoding, shared, sstable
+from segcube.llm import decontamination, encoding, packing, pii, shared, sstable, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,5 +18,28 @@ def op1_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sstable.read_shards(manifest)
 
 
-QUERIES = {"op1_token_shards": op1_token_shards}
+def op2_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "pii_spans")
+    counts = [pii.count_of(F.col("pii_spans"), kind).alias(f"n_{kind}") for kind in pii.BASE]
+    spans = F.col("pii_spans")
+    return found.select("doc_id", *counts, F.sha2(pii.rendered(pii.base_only(spans)), 256).alias("base_sha256"), pii.rendered(spans).alias("spans"), F.array_max(F.transform(spans, lambda s: s["score"])).alias("top_score"))
+
+
+def op4_positional_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    index = decontamination.build_index(table(spark, sf_dir, "documents"))
+    found = decontamination.contamination(index, table(spark, sf_dir, "benchmark"))
+    return found.select(
+        "doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), decontamination.items_digest().alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated")
+    )
+
+
+def op9_pattern_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), encoding.vocabulary("byte_bpe_50k.json"))
+
+
+def op10_url_aliases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages"))
+
+
+QUERIES = {"op1_token_shards": op1_token_shards, "op2_pii_spans": op2_pii_spans, "op4_positional_index": op4_positional_index, "op9_pattern_packing": op9_pattern_packing, "op10_url_aliases": op10_url_aliases}
 ORACLE_SQL: dict[str, str] = {}
