@@ -34,7 +34,7 @@ BLOCK_WINDOWS = 200_000
 #: Candidate places looked at in one step.
 _CANDIDATES = 1 << 20
 
-_SEGMENTS = "segment bigint, doc_ids array<bigint>, first_words binary, terms binary, term_starts binary, gaps binary"
+_SEGMENTS = "segment bigint, doc_ids array<bigint>, text_hashes array<bigint>, first_words binary, terms binary, term_starts binary, gaps binary"
 
 
 def _packed(values: np.ndarray) -> bytes:
@@ -70,11 +70,12 @@ def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
                 gaps = np.diff(order, prepend=0)
                 gaps[term_starts] = order[term_starts]
                 ids = pa.array([part.column("doc_id").to_pylist()], pa.list_(pa.int64()))
+                marks = pa.array([part.column("text_hash").to_pylist()], pa.list_(pa.int64()))
                 blobs = [_packed(first), terms.tobytes(), _packed(term_starts), _packed(gaps)]
-                yield pa.RecordBatch.from_arrays([pa.array([segment], pa.int64()), ids, *(pa.array([b], pa.binary()) for b in blobs)], names=["segment", "doc_ids", "first_words", "terms", "term_starts", "gaps"])
+                yield pa.RecordBatch.from_arrays([pa.array([segment], pa.int64()), ids, marks, *(pa.array([b], pa.binary()) for b in blobs)], names=["segment", "doc_ids", "text_hashes", "first_words", "terms", "term_starts", "gaps"])
                 segment += 1
 
-    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_hash"))
     return shared.materialised(rows.mapInArrow(build, _SEGMENTS), "postings")
 
 
@@ -201,7 +202,7 @@ def blocks(items: DataFrame, window: int = WINDOW, limit: int = BLOCK_WINDOWS, i
 
 def _search(index: DataFrame, block: Block) -> DataFrame:
     """Per document: its number of words, its hit words as disjoint ranges, and the items found."""
-    schema = "segment bigint, doc int, doc_id bigint, n_words bigint, ranges array<struct<low:bigint,high:bigint>>, items array<string>"
+    schema = "segment bigint, doc int, doc_id bigint, text_hash bigint, n_words bigint, ranges array<struct<low:bigint,high:bigint>>, items array<string>"
     sent = index.sparkSession.sparkContext.broadcast(block)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -228,10 +229,10 @@ def _search(index: DataFrame, block: Block) -> DataFrame:
         spans = pa.StructArray.from_arrays([pa.array(low - segment.first[doc]), pa.array(high - segment.first[doc])], fields=list(pair_type))
         items = pa.array([block.items[i] for i in pairs[1]], pa.string())
         columns = [
-            pa.array(np.full(n_docs, row["segment"]), pa.int64()), pa.array(np.arange(n_docs), pa.int32()), pa.array(row["doc_ids"], pa.int64()), pa.array(np.diff(segment.first), pa.int64()),
+            pa.array(np.full(n_docs, row["segment"]), pa.int64()), pa.array(np.arange(n_docs), pa.int32()), pa.array(row["doc_ids"], pa.int64()), pa.array(row["text_hashes"], pa.int64()), pa.array(np.diff(segment.first), pa.int64()),
             pa.ListArray.from_arrays(pa.array(place(doc)), spans), pa.ListArray.from_arrays(pa.array(place(pairs[0])), items),
         ]
-        return pa.RecordBatch.from_arrays(columns, names=["segment", "doc", "doc_id", "n_words", "ranges", "items"])
+        return pa.RecordBatch.from_arrays(columns, names=["segment", "doc", "doc_id", "text_hash", "n_words", "ranges", "items"])
 
     return index.mapInArrow(search, schema)
 
@@ -245,10 +246,17 @@ def contamination(index: DataFrame, items: DataFrame, window: int = WINDOW, limi
             out = out.unionByName(part)
         # at most one row per document and block meets here
         out = out.groupBy("segment", "doc").agg(
-            F.first("doc_id").alias("doc_id"), F.first("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_list("ranges"))).alias("ranges"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"),
+            F.first("doc_id").alias("doc_id"), F.first("text_hash").alias("text_hash"), F.first("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_list("ranges"))).alias("ranges"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"),
         )
     n_hit = "aggregate(ranges, named_struct('seen', 0L, 'n', 0L), (a, r) -> named_struct('seen', greatest(a.seen, r.high), 'n', a.n + greatest(0L, r.high - greatest(a.seen, r.low))), a -> a.n)"
-    return out.select("segment", "doc", "doc_id", "n_words", F.expr(n_hit).alias("n_hit"), "ranges", "items")
+    return out.select("segment", "doc", "doc_id", "text_hash", "n_words", F.expr(n_hit).alias("n_hit"), "ranges", "items")
+
+
+def without_contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` without the rows that hold a window of any test item."""
+    hit = contamination(build_index(docs, id_col, text_col), items).filter("n_hit > 0").select(F.col("doc_id").alias("_hit_id"), F.col("text_hash").alias("_hit_hash")).distinct()
+    text_hash = F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+    return docs.join(hit, F.col(id_col).cast("bigint").eqNullSafe(F.col("_hit_id")) & (text_hash == F.col("_hit_hash")), "left_anti")
 
 
 def proximity(index: DataFrame, items: DataFrame, slop: int, window: int = WINDOW, limit: int = BLOCK_WINDOWS, id_col: str = "item_id", text_col: str = "text") -> DataFrame:

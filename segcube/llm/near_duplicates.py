@@ -330,12 +330,31 @@ def find(docs: DataFrame, percent: int = 80, k: int = SHINGLE, id_col: str = "do
     members = first.filter("chunk is null").select("doc_id", "text_hash", "n", "node")
     groups = _groups(_columns(rows, _frequencies(first, bits), k, percent, bits), percent, light)
     out = members.select("doc_id", "text_hash", F.col("n").alias("n_shingles"), "node")
-    classes = members.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
+    classes = members.filter("node is not null").groupBy("node").agg(F.min("doc_id").alias("least")).withColumn("component", F.col("node"))
     if groups is not None:
         groups = shared.materialised(groups, "groups")
         ties = components(_products(_sets_of(rows, groups, members, k), percent))
-        joined = classes.join(ties, "node")
+        joined = classes.drop("component").join(ties, "node")
         least = joined.groupBy("component").agg(F.min("least").alias("root"))
-        roots = joined.join(least, "component").select("node", "root")
-        classes = classes.join(roots, "node", "left").select("node", F.coalesce("root", "least").alias("least"))
-    return out.join(classes, "node", "left").select("doc_id", "text_hash", "n_shingles", "node", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("least")).alias("component_id"))
+        roots = joined.join(least, "component").select("node", "root", F.col("component").alias("tied"))
+        classes = classes.join(roots, "node", "left").select("node", F.coalesce("root", "least").alias("least"), F.coalesce("tied", "component").alias("component"))
+    named = F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("least")).alias("component_id")
+    return out.join(classes, "node", "left").select("doc_id", "text_hash", "n_shingles", "node", "component", named)
+
+
+def one_of_each(docs: DataFrame, percent: int = 80, k: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text", bits: int = SKETCH_BITS) -> DataFrame:
+    """``docs`` with one row of each component: the one with the smallest id, then text hash; documents without words all stay."""
+    found = shared.materialised(find(docs, percent, k, id_col, text_col, bits), "components")
+    inside = found.filter("component is not null")
+    kept = inside.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash")).alias("kept"))
+    same = F.col("doc_id").eqNullSafe(F.col("kept.doc_id")) & (F.col("text_hash") == F.col("kept.text_hash"))
+    gone = inside.join(kept, "component").filter(~same).select(F.col("doc_id").alias("_gone_id"), F.col("text_hash").alias("_gone_hash")).distinct()
+    text_hash = F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+    left = docs.withColumn("_text_hash", text_hash)
+    left = left.join(gone, F.col(id_col).cast("bigint").eqNullSafe(F.col("_gone_id")) & (F.col("_text_hash") == F.col("_gone_hash")), "left_anti")
+    repeated = inside.groupBy("doc_id", "text_hash").count().filter("count > 1").limit(1)
+    if not repeated.isEmpty():  # rows that repeat an id and its text
+        empty = left.filter(~F.coalesce(F.col(text_col), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+        full = left.filter(F.coalesce(F.col(text_col), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+        left = full.dropDuplicates([id_col, "_text_hash"]).unionByName(empty)
+    return left.drop("_text_hash")

@@ -1,52 +1,5 @@
-"""The folder that driver and executors share, and tables written there to cut lineage."""
+"""The shared folder of the library, under the name that this subpackage uses."""
 
-from __future__ import annotations
+from segcube.sources.scratch import clean, materialised, new_folder, shared_root
 
-import atexit
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_made: list[tuple[SparkSession, str]] = []
-
-
-def shared_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; only where it is unset (tests on one machine) a temporary folder."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    known = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if known.isDefined():
-        return known.get().rstrip("/")
-    spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="checkpoints_"))
-    return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
-
-
-def new_folder(spark: SparkSession, name: str) -> str:
-    """A new folder for one run's intermediate data; deleted when the driver's Python ends or by :func:`clean`."""
-    path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
-    _made.append((spark, path))
-    return path
-
-
-def materialised(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back: recovery from a lost executor starts here."""
-    spark = df.sparkSession
-    path = new_folder(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def clean() -> None:
-    """Delete the folders made so far; data frames that read them end here."""
-    while _made:
-        spark, path = _made.pop()
-        try:
-            target = spark._jvm.org.apache.hadoop.fs.Path(path)
-            target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
-        except Exception:  # noqa: BLE001  the session has ended already
-            return
-
-
-atexit.register(clean)
+__all__ = ["clean", "materialised", "new_folder", "shared_root"]
