@@ -70,7 +70,8 @@ def template_positions(spark: SparkSession, phrases=PHRASES, notices=NOTICES) ->
         if not len(grams):
             raise ValueError(f"a template needs at least {k} words: {text}")
         rows += [(int(g), number, i, label, len(grams), phrase) for i, g in enumerate(grams)]
-    return spark.createDataFrame(rows, "gram bigint, template int, at bigint, label string, grams int, phrase boolean")
+    types = {"gram": pa.int64(), "template": pa.int32(), "at": pa.int64(), "label": pa.string(), "grams": pa.int32(), "phrase": pa.bool_()}
+    return spark.createDataFrame(pa.table({n: pa.array(c, t) for (n, t), c in zip(types.items(), zip(*rows, strict=True), strict=True)}))
 
 
 def rolling_grams(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -81,7 +82,7 @@ def rolling_grams(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
         row = TaskContext.get().partitionId() << 33
         for batch in batches:
-            for part in K.steps(batch, "text"):
+            for part in K.steps(batch, "text", 1 << 20):
                 data, offsets = K.text_bytes(part.column("text"))
                 data = K.LOWER[data]
                 starts, ends, first = K.find_words(data, offsets, K.ALNUM)

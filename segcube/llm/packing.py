@@ -13,6 +13,7 @@ an empty table gives no rows; columns other than id and text are not read.
 
 from __future__ import annotations
 
+import bisect
 from collections.abc import Iterator
 
 import numpy as np
@@ -71,8 +72,6 @@ def non_negative_fit(patterns: list[tuple[int, ...]], target: np.ndarray, sweeps
 def best_fit(counts: np.ndarray, capacity: int) -> Iterator[tuple[tuple[int, ...], int]]:
     """Best-fit decreasing over a histogram: patterns with repeat counts; uses up ``counts``."""
     present = sorted(int(v) for v in np.flatnonzero(counts))
-    import bisect
-
     while present:
         used: dict[int, int] = {}
         left, pattern = capacity, []
@@ -96,14 +95,22 @@ def best_fit(counts: np.ndarray, capacity: int) -> Iterator[tuple[tuple[int, ...
 
 
 def plan(histogram: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
-    """Patterns of lengths and how often each is used; together they use every counted piece once."""
-    left = histogram.astype(np.int64).copy()
-    out: list[tuple[tuple[int, ...], int]] = []
-    if left[capacity]:
-        out.append(((capacity,), int(left[capacity])))
-        left[capacity] = 0
-    patterns = exact_patterns(np.flatnonzero(left), capacity)
-    for pattern, wish in zip(patterns, non_negative_fit(patterns, left), strict=True):
+    """Patterns of lengths and how often each is used; together they use every counted piece once.
+
+    The fitted repeat counts are rounded down at several shares of their size, and the plan with the fewest sequences is taken:
+    where lengths have few pieces, too many exact patterns can use up the short ones that long ones need.
+    """
+    counts = histogram.astype(np.int64).copy()
+    whole = [((capacity,), int(counts[capacity]))] if counts[capacity] else []
+    counts[capacity] = 0
+    patterns = exact_patterns(np.flatnonzero(counts), capacity)
+    wishes = non_negative_fit(patterns, counts)
+    return whole + min((_rounded(counts, capacity, patterns, wishes * share) for share in (1, 0.9, 0.7, 0.4, 0)), key=lambda p: sum(n for _, n in p))
+
+
+def _rounded(counts: np.ndarray, capacity: int, patterns: list[tuple[int, ...]], wishes: np.ndarray) -> list[tuple[tuple[int, ...], int]]:
+    left, out = counts.copy(), []
+    for pattern, wish in zip(patterns, wishes, strict=True):
         repeat = min([int(wish), *(int(left[v]) // pattern.count(v) for v in set(pattern))])
         if repeat > 0:
             out.append((pattern, repeat))

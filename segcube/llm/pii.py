@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 _LOCAL = r"[A-Za-z0-9._%+-]"
 KINDS = {
     "email": ("@", rf"(?:\G|(?<!{_LOCAL})){_LOCAL}++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++"),
-    "ip": (".", r"[0-9]++(?:\.[0-9]++){3}+"),
+    "ip": (".", r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}+"),
     "card": (None, r"[0-9](?:[\x20-]?[0-9]){12,}+"),
     "phone": ("+", r"\+[0-9][\x20().0-9-]+[0-9]"),
     "iban": (None, r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])"),
