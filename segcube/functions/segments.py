@@ -76,6 +76,16 @@ def starred(schema: CubeSchema, column: str, carried: list[str]) -> Column:
     return F.struct(*fields, F.col(MASK).bitwiseOR(F.lit(schema.bit(column))).alias(MASK), *carried)
 
 
+def send(df: DataFrame, schema: CubeSchema, columns, ready: list[tuple[str, Column]], also: tuple[str, ...] = ()) -> DataFrame:
+    """Each row itself and, for every ``(column, condition)`` that holds, its copy with a star there.
+
+    Only ``columns`` and the mask are generated; all else passes by, so a partitioning by the other columns is kept.
+    """
+    copies = [F.when(yes, F.struct(*((F.lit(None) if c == column else F.col(c)).alias(c) for c in columns), F.col(MASK).bitwiseOR(F.lit(schema.bit(column))).alias(MASK))) for column, yes in ready]
+    passing = [*also, *(c for c in schema.columns if c not in set(columns)), *schema.state_names]
+    return df.select(*passing, F.inline(F.filter(F.array(F.struct(*columns, MASK), *copies), lambda x: x.isNotNull())))
+
+
 def lower_levels(schema: CubeSchema, column: str) -> tuple[str, ...]:
     columns = next(d.columns for d in schema.dims if column in d.columns)
     return columns[columns.index(column) + 1 :]

@@ -67,15 +67,13 @@ def batch_area_states(df: DataFrame, schema: CubeSchema, areas: list[Area]) -> D
     """All areas by one shuffle, then their columns starred one after the other inside the tasks; value partitions are combined last."""
     now = area_messages(df, schema, areas).repartition("shard")
     now = S.merge(now, schema, "shard", "area")
-    carried = ["shard", "area", *schema.state_names]
     for column in reversed(schema.columns):
         free = [i for i, a in enumerate(areas) if any(m & schema.bit(column) for m in a.masks)]
         if not free:
             continue
         below = schema.bits(S.lower_levels(schema, column))
         ready = F.col("area").isin(free) & (F.col(MASK).bitwiseAND(F.lit(below)) == below) & ~S.has_star(schema, column)
-        both = F.array(F.struct(*schema.columns, MASK, *carried), F.when(ready, S.starred(schema, column, carried)))
-        now = S.merge(now.select(F.inline(F.filter(both, lambda x: x.isNotNull()))), schema, "shard", "area")
+        now = S.merge(S.send(now, schema, (column,), [(column, ready)], ("shard", "area")), schema, "shard", "area")
     whole = split = F.lit(False)
     for i, a in enumerate(areas):
         mine = (F.col("area") == i) & F.col(MASK).isin(list(a.masks))

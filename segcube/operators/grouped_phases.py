@@ -30,17 +30,18 @@ def cluster_by_other_groups(df: DataFrame, grouping: Grouping, phase: int) -> Da
 
 def layer_step(df: DataFrame, schema: CubeSchema, group, k: int, also: tuple[str, ...] = (), guard: bool = False) -> DataFrame:
     """Rows with ``k - 1`` stars in the group send themselves to their primary parents; all rows pass on; equal keys add up."""
-    mask, bits = F.col(MASK), schema.bits(group)
-    carried = [*also, *schema.state_names]
-    messages = []
+    return S.merge(S.send(df, schema, group, _ready(schema, group, k, guard), also), schema, *also)
+
+
+def _ready(schema: CubeSchema, group, k: int, guard: bool, done: frozenset[str] = frozenset()) -> list:
+    """Which columns a row with ``k - 1`` stars in the group sends its starred copies for."""
+    mask, bits, out = F.col(MASK), schema.bits(group), []
     for column, on, off in S.parent_steps(schema, group):
-        ready = (S.layer(MASK, bits) == k - 1) & (mask.bitwiseAND(F.lit(on)) == on) & (mask.bitwiseAND(F.lit(off)) == 0)
-        if guard:
-            ready &= _levels_below_are_stars(schema, column)
-        messages.append(F.when(ready, S.starred(schema, column, carried)))
-    itself = F.struct(*schema.columns, MASK, *carried)
-    sent = df.select(F.inline(F.filter(F.array(itself, *messages), lambda x: x.isNotNull())))
-    return S.merge(sent, schema, *also)
+        if k == 1 and column in done:
+            continue
+        yes = (S.layer(MASK, bits) == k - 1) & (mask.bitwiseAND(F.lit(on)) == on) & (mask.bitwiseAND(F.lit(off)) == 0)
+        out.append((column, yes & _levels_below_are_stars(schema, column) if guard else yes))
+    return out
 
 
 def _levels_below_are_stars(schema: CubeSchema, column: str):
@@ -57,11 +58,9 @@ def _layered(df, schema, group, guard):
 
 def _sweep(df, schema, group, guard, also=()):
     """One column after the other, right to left: each row passes on and, where legal, sends its starred copy."""
-    carried = [*also, *schema.state_names]
     for column in reversed(group):
-        ready = _levels_below_are_stars(schema, column) & ~S.has_star(schema, column)
-        both = F.array(F.struct(*schema.columns, MASK, *carried), F.when(ready, S.starred(schema, column, carried)))
-        df = S.merge(df.select(F.inline(F.filter(both, lambda x: x.isNotNull()))), schema, *also)
+        yes = _levels_below_are_stars(schema, column) & ~S.has_star(schema, column)
+        df = S.merge(S.send(df, schema, (column,), [(column, yes)], also), schema, *also)
     return df
 
 
@@ -126,32 +125,20 @@ def precombine(df: DataFrame, grouping: Grouping, phase: int, heavy: str) -> Dat
     schema, group = grouping.schema, grouping.group(phase)
     parts = schema.dims_of(group)
     first = {p[-1] for p in (parts[-1:] if heavy == "last_parent" else parts)}
-    carried = list(schema.state_names)
-    ready = lambda c: _levels_below_are_stars(schema, c) if grouping.guard else F.lit(True)
-    sent = [F.when(ready(c), S.starred(schema, c, carried)) for c in group if c in first]
-    itself = F.struct(*schema.columns, MASK, *carried)
-    return S.merge(df.select(F.inline(F.filter(F.array(itself, *sent), lambda x: x.isNotNull()))), schema)
+    ready = [(c, _levels_below_are_stars(schema, c) if grouping.guard else F.lit(True)) for c in group if c in first]
+    return S.merge(S.send(df, schema, group, ready), schema)
 
 
 def _after_precombining(df: DataFrame, grouping: Grouping, phase: int, heavy: str) -> DataFrame:
     """The remaining messages of a phase whose first-layer parents exist already."""
     schema, group = grouping.schema, grouping.group(phase)
-    parts, bits = schema.dims_of(group), schema.bits(group)
-    done = {p[-1] for p in (parts[-1:] if heavy == "last_parent" else parts)}
-    carried = list(schema.state_names)
+    parts = schema.dims_of(group)
+    done = frozenset(p[-1] for p in (parts[-1:] if heavy == "last_parent" else parts))
     df = S.merge(df, schema)
     for k in range(1, len(group) + 1):
-        messages = []
-        for column, on, off in S.parent_steps(schema, group):
-            if k == 1 and column in done:
-                continue
-            ready = (S.layer(MASK, bits) == k - 1) & (F.col(MASK).bitwiseAND(F.lit(on)) == on) & (F.col(MASK).bitwiseAND(F.lit(off)) == 0)
-            if grouping.guard:
-                ready &= _levels_below_are_stars(schema, column)
-            messages.append(F.when(ready, S.starred(schema, column, carried)))
-        if messages:
-            itself = F.struct(*schema.columns, MASK, *carried)
-            df = S.merge(df.select(F.inline(F.filter(F.array(itself, *messages), lambda x: x.isNotNull()))), schema)
+        ready = _ready(schema, group, k, grouping.guard, done)
+        if ready:
+            df = S.merge(S.send(df, schema, group, ready), schema)
     return df
 
 
