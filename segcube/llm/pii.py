@@ -89,7 +89,7 @@ def _cut(text: Column, kind: str) -> Column:
     """Matches of a kind and the pieces between them, read only where the text can hold any."""
     hint, pattern = KINDS[kind]
     found = F.struct(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("matches"), F.split(text, pattern, -1).alias("pieces"))
-    may = text.contains(hint) if hint else text.rlike("[0-9]{2}")
+    may = text.contains(hint) if hint else text.rlike(r"[0-9][\x20-]?[0-9]" if kind == "card" else "[0-9]{2}")
     return F.when(may, found)
 
 

@@ -57,6 +57,16 @@ def test_base_spans_equal_brute_force(spark):
     assert X.multiset(tuple(r) for r in result(pii.find(docs))) == X.multiset(want(d, t) for d, t in rows)
 
 
+def test_fully_separated_cards_equal_brute_force(spark):
+    texts = [s.join(card) for card in ("4111111111111111", "4111111111111112") for s in (" ", "-")] + ["a 4 1-1 1-1 1 1-1 1 1 1 1 1 1 1 1 z", "1 2 3 4 5", "7"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    rows = X.rows_of(docs)
+    assert [len(base_spans(t)["card"]) for _, t in rows] == [1, 1, 0, 0, 1, 0, 0]
+    assert X.multiset(tuple(r) for r in result(pii.find(docs))) == X.multiset(want(d, t) for d, t in rows)
+    masked = pii.find(docs).select("doc_id", pii.masked(queries.F.col("text"), queries.F.col("pii_spans")).alias("m")).collect()
+    assert {r.doc_id: r.m for r in masked}[0] == "[CARD]"
+
+
 def test_added_kinds_need_checksum_or_context(spark):
     texts = ["pay to DE89 3704 0044 0532 0130 00 now", "pay to DE88 3704 0044 0532 0130 00 now", "social security 123-45-6789", "part 123-45-6789", "tel 030 1234 5678", "size 030 1234 5678", "GB82WEST12345698765432"]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string")
