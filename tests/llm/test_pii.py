@@ -77,6 +77,25 @@ def test_added_kinds_need_checksum_or_context(spark):
     assert got[6] == [("iban", "GB82WEST12345698765432")]
 
 
+def iban(country, account):
+    """An account number with its check digits."""
+    number = int("".join(str(int(c, 36)) for c in account + country + "00"))
+    return f"{country}{98 - number % 97:02d}{account}"
+
+
+def test_account_numbers_before_capitals_and_each_other(spark):
+    spaced, plain, unknown = "DE89 3704 0044 0532 0130 00", "GB82WEST12345698765432", iban("ZZ", "ABCD1234567")
+    cases = [
+        (f"{spaced} Please pay", [spaced]), (f"{plain} Bank", [plain]), (f"{plain} BIC X", [plain]), (f"{plain} BIC XABCDEFGH 12", [plain]), (f"🙂 {spaced} {plain} NOW", [spaced, plain]),
+        (f"SE45 {spaced} OK", [spaced]), (f"{unknown} Please", [unknown]), (f"{unknown} BIC", [unknown]), (f"{plain}X", []), (f"{iban('DE', '1' * 19)} Bank", []), (f"{iban('NO', '86011117947')} A", [iban("NO", "86011117947")]),
+    ]
+    docs = spark.createDataFrame([(i, text) for i, (text, _) in enumerate(cases)], "doc_id int, text string")
+    found = pii.find(docs).withColumn("m", pii.masked(queries.F.col("text"), queries.F.col("pii_spans"))).collect()
+    got = {r.doc_id: [r.text[s.start : s.end] for s in r.pii_spans if s.kind == "iban"] for r in found}
+    assert got == {i: want for i, (_, want) in enumerate(cases)}
+    assert {r.doc_id: r.m for r in found}[2] == "[IBAN] BIC X"
+
+
 def test_context_raises_the_score(spark):
     docs = spark.createDataFrame([(1, "my card 4111111111111111"), (2, "number 4111111111111111")], "doc_id int, text string")
     got = {r.doc_id: r.pii_spans[0].score for r in pii.find(docs).collect()}
