@@ -37,7 +37,7 @@ def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sequences of at most 2048 tokens."""
+    """Pieces with their token ids and places in sequences of at most 2048 tokens."""
     return packing.pack(docs, encoding.vocabulary("byte_bpe_50k.json"))
 
 

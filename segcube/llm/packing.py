@@ -5,7 +5,8 @@ patterns of two to four lengths that fill a sequence exactly are enumerated, the
 histogram by non-negative least squares and rounded down, and what remains is packed best-fit, longest first, again
 as patterns with repeat counts.  A plan has a few thousand rows at most.  Each piece then finds its place from its
 length and its rank among all pieces of that length; ranks come from counts per task, so a length that
-a third of all rows share is no hot key.
+a third of all rows share is no hot key.  Token ids stay with their piece, as little-endian unsigned 32-bit integers (compressed byte
+planes until the piece has its place); :func:`sequences` puts the pieces of each sequence together.
 
 Null texts and empty texts are a single end id; repeated ids and rows are packed like any others; a null id is kept;
 an empty table gives no rows; columns other than id and text are not read.
@@ -18,14 +19,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from segcube.llm import encoding, shared
 from segcube.llm import kernel as K
 
-_PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, part int, rank bigint"
-_PLACED = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint"
+_PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids binary, part int, rank bigint"
+_PLACED = "doc_id bigint, piece int, start bigint, length bigint, ids binary, sequence_id bigint, offset bigint"
+#: Pieces that go to Spark at once; bounds their ids.
+_BATCH = 500
+
+
+def _compressed(compressor: zstandard.ZstdCompressor, ids: np.ndarray) -> bytes:
+    return compressor.compress(np.ascontiguousarray(ids.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes())
+
+
+def _plain(decompressor: zstandard.ZstdDecompressor, data: bytes) -> bytes:
+    return np.ascontiguousarray(np.frombuffer(decompressor.decompress(data), dtype=np.uint8).reshape(4, -1).T).tobytes()
 
 
 def exact_patterns(lengths: np.ndarray, capacity: int, per_anchor: int = 6) -> list[tuple[int, ...]]:
@@ -126,7 +138,7 @@ def encoded_pieces(docs: DataFrame, tokenizer: str, layout: str, end_id: int, ca
         from pyspark import TaskContext
 
         task, encoder = TaskContext.get().partitionId(), encoding.encoder(tokenizer, layout)
-        seen = np.zeros(capacity + 1, dtype=np.int64)
+        seen, compressor = np.zeros(capacity + 1, dtype=np.int64), zstandard.ZstdCompressor(level=1)
         for batch in batches:
             for part in K.steps(batch, "text"):
                 ids, offsets = encoding.append_end(*encoder.encode(part.column("text")), end_id)
@@ -138,25 +150,28 @@ def encoded_pieces(docs: DataFrame, tokenizer: str, layout: str, end_id: int, ca
                 start = np.where(piece == 0, 0, short[doc] + (piece - 1) * capacity)
                 length = np.where(piece == 0, short[doc], capacity)
                 at = offsets[:-1][doc] + start
-                crc = [encoding.crc32(ids[a:b]) for a, b in zip(at, at + length, strict=True)]
                 order = np.argsort(length, kind="stable")
                 run = length[order]
                 rank = np.empty(len(run), dtype=np.int64)
                 rank[order] = seen[run] + np.arange(len(run)) - np.searchsorted(run, run)
                 seen += np.bincount(length, minlength=capacity + 1)
-                columns = [part.column("doc_id").take(pa.array(doc)), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64()), pa.array(np.full(len(doc), task), pa.int32()), pa.array(rank)]
-                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "piece", "start", "length", "ids_crc32", "part", "rank"])
+                for a in range(0, len(doc), _BATCH):
+                    these = slice(a, a + _BATCH)
+                    blobs = [_compressed(compressor, ids[i:j]) for i, j in zip(at[these], at[these] + length[these], strict=True)]
+                    columns = [part.column("doc_id").take(pa.array(doc[these])), pa.array(piece[these], pa.int32()), pa.array(start[these], pa.int64()), pa.array(length[these], pa.int64()), pa.array(blobs, pa.binary()), pa.array(np.full(len(blobs), task), pa.int32()), pa.array(rank[these])]
+                    yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "piece", "start", "length", "ids", "part", "rank"])
 
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     return rows.mapInArrow(cut, _PIECES)
 
 
 def pack(docs: DataFrame, tokenizer: str, layout: str = "bytes", end_id: int = 0, capacity: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Every piece with its sequence and its place there."""
+    """Every piece with its ids and their checksum, its sequence and its place there."""
     pieces = shared.materialised(encoded_pieces(docs, tokenizer, layout, end_id, capacity, id_col, text_col), "pieces")
     counts = pieces.groupBy("length", "part").agg(F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     shift = counts.select("length", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("shift"))
+    shift = shared.materialised(shift, "shifts")  # as a table of known size it need not move the ids while it is small
     histogram = np.zeros(capacity + 1, dtype=np.int64)
     for row in counts.groupBy("length").agg(F.sum("n").alias("n")).collect():  # at most ``capacity`` rows
         histogram[row.length] = row.n
@@ -178,12 +193,22 @@ def pack(docs: DataFrame, tokenizer: str, layout: str = "bytes", end_id: int = 0
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base, keys, sequences, offsets = shared_plan.value
-        for batch in batches:
-            if batch.num_rows:
+        decompressor = zstandard.ZstdDecompressor()
+        for every in batches:
+            for a in range(0, every.num_rows, _BATCH):
+                batch = every.slice(a, _BATCH)
                 key = base[batch.column("length").to_numpy()] + batch.column("rank").to_numpy() + batch.column("shift").to_numpy()
                 at = np.searchsorted(keys, key, side="right") - 1
-                columns = [batch.column(c) for c in ("doc_id", "piece", "start", "length", "ids_crc32")]
-                columns += [pa.array(sequences[at] + key - keys[at]), pa.array(offsets[at])]
-                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"])
+                columns = [batch.column(c) for c in ("doc_id", "piece", "start", "length")]
+                columns += [pa.array([_plain(decompressor, x) for x in batch.column("ids").to_pylist()], pa.binary()), pa.array(sequences[at] + key - keys[at]), pa.array(offsets[at])]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "piece", "start", "length", "ids", "sequence_id", "offset"])
+
+    return pieces.join(shift, ["length", "part"]).mapInArrow(place, _PLACED).withColumn("ids_crc32", F.crc32("ids"))
+
 
-    return pieces.join(shift, ["length", "part"]).mapInArrow(place, _PLACED)
+def sequences(packed: DataFrame) -> DataFrame:
+    """``sequence_id, length, ids, pieces``: the rows of :func:`pack` as whole training sequences, with what each holds from where."""
+    pieces = F.array_sort(F.collect_list(F.struct("offset", "length", "doc_id", "piece", "start", "ids")))
+    whole = packed.groupBy("sequence_id").agg(F.sum("length").alias("length"), pieces.alias("pieces"))
+    ids = F.unhex(F.array_join(F.transform("pieces", lambda p: F.hex(p["ids"])), ""))
+    return whole.select("sequence_id", "length", ids.alias("ids"), F.transform("pieces", lambda p: p.dropFields("ids")).alias("pieces"))

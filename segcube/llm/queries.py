@@ -61,7 +61,8 @@ def op8_shingle_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_pattern_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(table(spark, sf_dir, "documents"), encoding.vocabulary("byte_bpe_50k.json"))
+    packed = packing.pack(table(spark, sf_dir, "documents"), encoding.vocabulary("byte_bpe_50k.json"))
+    return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
 def op10_url_aliases(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -129,5 +129,23 @@ def test_plan_uses_every_piece_once():
         assert total <= -(-int((histogram * np.arange(65)).sum()) // 64) * 1.07 + 3
 
 
+def test_packed_sequences_give_back_every_document(spark):
+    docs = X.awkward_documents(spark)[0]
+    packed = packing.pack(docs, encoding.vocabulary("byte_bpe_50k.json"))
+    found, documents = packing.sequences(packed).collect(), {}
+    assert len(found) == packed.select("sequence_id").distinct().count()
+    for r in found:
+        ids = np.frombuffer(r.ids, dtype="<u4")
+        assert len(ids) == r.length == sum(p.length for p in r.pieces) <= 2048
+        for p in r.pieces:
+            documents.setdefault((p.doc_id, p.start), []).append(ids[p.offset : p.offset + p.length].tolist())
+    wanted = {}
+    for doc_id, _, ids in expected_tokens(X.rows_of(docs), "byte_bpe_50k.json", 0):
+        first = len(ids) - (-(-len(ids) // 2048) - 1) * 2048
+        for a, b in zip([0, *range(first, len(ids), 2048)], [*range(first, len(ids) + 1, 2048)], strict=True):
+            wanted.setdefault((doc_id, a), []).append(ids[a:b].tolist())
+    assert {k: sorted(v) for k, v in documents.items()} == {k: sorted(v) for k, v in wanted.items()}
+
+
 def test_packing_nothing(spark):
     assert packing.pack(X.empty_documents(spark), encoding.vocabulary("byte_bpe_50k.json")).count() == 0
