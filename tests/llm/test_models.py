@@ -60,6 +60,15 @@ def test_awkward_labels_and_texts(spark):
     assert toxicity.score(X.empty_documents(spark), flat).count() == 0
 
 
+def test_a_text_beyond_the_budget_is_skipped(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "TRAIN_WORDS", 400)
+    texts = [(i, "vile scum" if i % 2 else "kind words") for i in range(60)] + [(i, "long " * 1000) for i in range(60, 90)]
+    docs = spark.createDataFrame(texts, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(i, 0, i % 2) for i in range(90)], "doc_id bigint, quality int, toxic int")
+    rows = {r.text: r.score for r in toxicity.score(docs, toxicity.fit(docs, labels)).collect()}
+    assert rows["vile scum"] > 0.5 > rows["kind words"]
+
+
 # language model
 
 
