@@ -1,5 +1,6 @@
 """The cube engine: worked example, equality of methods, invariants, ledger and plans."""
 
+import itertools
 import re
 
 import pytest
@@ -276,6 +277,24 @@ def test_late_rows_are_dropped_only_behind_the_watermark(spark, tmp_path):
     assert "late" not in keys and {"a", "b"} <= keys
 
 
+def test_the_full_shape_by_brute_force(spark, monkeypatch):
+    whole = tables.wide(spark, SF).filter("l_orderkey % 50 = 0 and ship_year in (1996, 1997)").cache()
+    monkeypatch.setattr(tables, "wide", lambda *_: whole)
+    dims = [part.strip().split(">") for part in W.S14.replace("|", ",").split(",")]
+    columns = [c for d in dims for c in d]
+    cuboids = [[c for kept in choice for c in kept] for choice in itertools.product(*([d[:k] for k in range(len(d) + 1)] for d in dims))]
+    assert (len(dims), len(columns), len(cuboids)) == (11, 14, 6912)
+    want = {}
+    for r in whole.collect():
+        for kept in cuboids:
+            key = tuple(r[c] if c in kept else None for c in columns)
+            want[key] = want.get(key, 0) + (r.cents if r.ship_year == 1997 else -r.cents)
+    want = {k: v for k, v in want.items() if abs(v) >= W.SIGNIFICANT // 20}
+    monkeypatch.setattr(W, "SIGNIFICANT", W.SIGNIFICANT // 20)
+    got = [(tuple(r[c] for c in columns), r.change) for r in W.QUERIES["s14_change_significant"](spark, SF).collect()]
+    assert len(want) > 100 and len(got) == len(want) and dict(got) == want
+
+
 def test_every_registered_query_has_a_name_and_a_plan(spark):
     import __spark_entry__ as entry
 
