@@ -12,7 +12,7 @@ from pyspark.sql import SparkSession
 FOLDER = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "4")
 NAMES = (
-    "s5_grouped", "s5_grouping_sets", "s5_broadcast", "s5_layered", "s5_batch_area", "s8_grouped", "s8_grouping_sets", "change_significant", "skewed_cube", "events_cube",
+    "s5_grouped", "s5_grouping_sets", "s5_broadcast", "s5_layered", "s5_batch_area", "s8_grouped", "s8_grouping_sets", "change_significant", "skewed_cube", "skewed_cube_whole", "events_cube",
 )
 #: Seconds after which no further query is begun.
 LIMIT = float(os.environ.get("BENCH_LIMIT_S", "900"))

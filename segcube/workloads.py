@@ -355,9 +355,15 @@ def s14_change_significant(spark, folder):
 
 @register("skewed_cube", f"SELECT * FROM ({cube_sql(SKEW)}) WHERE n >= 20")
 def skewed_cube(spark, folder):
+    """The segments of at least 20 rows; the cube is computed whole before, and :func:`skewed_cube_whole` returns it so."""
     return grouped_cube(tables.skewed(tables.wide(spark, folder)), shaped(SKEW)[1], F.col("n") >= 20)
 
 
+@register("skewed_cube_whole", cube_sql(SKEW))
+def skewed_cube_whole(spark, folder):
+    return grouped_cube(tables.skewed(tables.wide(spark, folder)), shaped(SKEW)[1])
+
+
 def events(spark: SparkSession, folder: str) -> DataFrame:
     return _event_columns(tables.read_table(spark, folder, "events"))
 

@@ -295,6 +295,14 @@ def test_the_full_shape_by_brute_force(spark, monkeypatch):
     assert len(want) > 100 and len(got) == len(want) and dict(got) == want
 
 
+def test_the_skewed_cube_is_given_whole(spark):
+    whole = W.QUERIES["skewed_cube_whole"](spark, SF).cache()
+    rows = tables.skewed(tables.wide(spark, SF)).cache()
+    assert whole.filter(F.col(MASK) == 0).count() == rows.select("hot_cust", "c_mktsegment", "hot_part", "p_type", "hot_supp", "l_returnflag").distinct().count()
+    assert whole.filter("n < 20").count() > 0 and whole.agg(F.sum("n")).first()[0] == 64 * rows.count()
+    assert sorted(map(repr, whole.filter("n >= 20").collect())) == sorted(map(repr, W.QUERIES["skewed_cube"](spark, SF).collect()))
+
+
 def test_every_registered_query_has_a_name_and_a_plan(spark):
     import __spark_entry__ as entry
 
