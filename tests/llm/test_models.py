@@ -180,8 +180,30 @@ def test_recall_and_order(spark):
     assert set(got) == set(want)
     hits = sum(len({i for _, i, _ in got[q]} & {i for _, i in want[q]}) for q in want)
     assert hits >= 0.9 * sum(map(len, want.values()))
-    for rows in got.values():
+    plain = {r.vec_id: r.embedding for r in vectors.collect()}
+    for q, rows in got.items():
         assert [r for r, _, _ in sorted(rows)] == [1, 2, 3, 4, 5] and [s for _, _, s in sorted(rows)] == sorted((s for *_, s in rows), reverse=True)
+        for _, i, score in rows:
+            a, b = plain[q], plain[i]
+            assert score == pytest.approx(math.fsum(x * y for x, y in zip(a, b, strict=True)) / math.sqrt(math.fsum(x * x for x in a)) / math.sqrt(math.fsum(x * x for x in b)), abs=1e-12)
+
+
+def test_recall_beyond_the_sample(spark, monkeypatch):
+    monkeypatch.setattr(neighbours, "SAMPLE", 100)
+    test_recall_and_order(spark)
+
+
+def test_a_crowd_of_equal_queries(spark):
+    """A third of all rows share a vector that is also asked for."""
+    rng = random.Random(5)
+    rows = [(i, [rng.gauss(0, 1) for _ in range(8)]) for i in range(1, 400)] + [(i, [1.0, 2.0] * 4) for i in range(400, 600)]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    got = {}
+    for r in neighbours.search(df).collect():
+        got.setdefault(r.query_id, []).append((r.rank, r.vec_id))
+    assert set(got) == set(range(50, 600, 50))
+    for q in (400, 450, 500, 550):
+        assert [i for _, i in sorted(got[q])] == [i for i in range(400, 406) if i != q][:5]
 
 
 def test_awkward_vectors_and_copies(spark):
