@@ -90,7 +90,7 @@ def plain_base(rows):
 @pytest.mark.parametrize("which", ["awkward", "sf"])
 def test_base_scores_equal_brute_force(spark, which):
     docs = X.awkward_documents(spark)[0] if which == "awkward" else X.documents(spark)
-    got = X.multiset((*tuple(r)[:5], r.base_score) for r in hm.score_documents(docs, emitted=300, known=900).collect())
+    got = X.multiset((*tuple(r)[:5], r.base_score) for r in hm.score_documents(docs, tied=300, known=900).collect())
     want = X.multiset(plain_base(X.rows_of(docs)))
     assert len(got) == len(want)
     for a, b in zip(sorted(got, key=lambda r: (repr(r[:5]), r[5])), sorted(want, key=lambda r: (repr(r[:5]), r[5])), strict=True):
@@ -144,6 +144,69 @@ def test_expected_counts_equal_enumeration():
     assert np.allclose(emitted, want_e) and np.allclose(starts, want_s) and np.allclose(moves, want_m)
 
 
+def plain_forward_backward(model, likely):
+    """Log10 likelihood and posteriors of one document, one token and state after the other."""
+    n, k = len(likely), len(model.start)
+    forward, log = [], 0.0
+    for t in range(n):
+        now = [(model.start[s] if t == 0 else sum(forward[-1][r] * model.moves[r, s] for r in range(k))) * likely[t][s] for s in range(k)]
+        log += math.log10(sum(now))
+        forward.append([x / sum(now) for x in now])
+    back = [1.0] * k
+    posterior = [None] * n
+    for t in range(n - 1, -1, -1):
+        both = [f * b for f, b in zip(forward[t], back, strict=True)]
+        posterior[t] = [x / sum(both) for x in both]
+        back = [sum(model.moves[r, s] * likely[t][s] * back[s] for s in range(k)) for r in range(k)]
+        back = [x / sum(back) for x in back]
+    return log, posterior
+
+
+@pytest.mark.parametrize("known", [40, 0])
+def test_every_token_has_emissions_of_its_own(spark, monkeypatch, known):
+    """The last round's counts and the scores, from documents of several segments, against plain Python."""
+    monkeypatch.setattr(hm, "_RARE_ROWS", 20)
+    rng = random.Random(3)
+    texts = [(i, " ".join(rng.choice("abc") * rng.randrange(1, 9) + str(rng.randrange(20)) for _ in range(rng.choice([0, 3, 40, 300])))) for i in range(60)]
+    docs = spark.createDataFrame(texts, "doc_id bigint, text string").repartition(3).withColumn("held_out", hm.fold(hm.F.col("doc_id"), 10) == 0)
+    all_counts = hm.token_counts(docs.filter("not held_out"))
+    counts = hm.gathered_counts(all_counts, known, 15)
+    training = hm.sequences(docs, counts).filter("not held_out")
+    model = hm.train(training, counts, 3)
+    got = {r.token: (r.c, [r[f"e{s}"] / hm.UNIT for s in range(3)]) for r in hm.token_emissions(training, model, counts).collect()}
+    seen = Counter(t for i, text in texts if fold(i, 10) for t in plain_tokens(text))
+    number = lambda t: int(np.uint64(hm.END).view(np.int64)) if t is None else int(hm.K.hash_text([t]).view(np.int64)[0])
+    rank = {int(t): int(r) for t, r in zip(counts.tokens.view(np.int64), counts.ranks, strict=True)}
+    want = {t: np.zeros(3) for t in seen}
+    for i, text in texts:
+        if fold(i, 10):
+            tokens = plain_tokens(text)
+            for t, p in zip(tokens, plain_forward_backward(model, [model.emissions[min(rank.get(number(t), counts.tied), counts.tied)] for t in tokens])[1], strict=True):
+                want[t] += p
+    assert len(got) == len(seen) > 40 and (len(rank) == 0) == (known == 0)
+    for t, c in seen.items():
+        assert got[number(t)][0] == c and np.allclose(got[number(t)][1], want[t], atol=1e-3)
+    states = sum(want.values())
+    monkeypatch.setattr(hm, "train", lambda *_: model)
+    scores = {r.doc_id: r.score for r in hm.score_documents(docs.select("doc_id", "text"), n_states=3, tied=15, known=known).collect()}
+    total, distinct = sum(seen.values()), len(seen)
+    for i, text in texts:
+        likely = []
+        for t in plain_tokens(text):
+            u = (seen[t] + 0.1) / (total + 0.1 * (distinct + 1))
+            likely.append((1 - hm.BACKGROUND) * want.get(t, np.zeros(3)) / states + hm.BACKGROUND * u)
+        assert scores[i] == pytest.approx(plain_forward_backward(model, likely)[0], abs=1e-2, rel=1e-3)
+
+
+def test_scores_are_finite(spark):
+    """Awkward rows, one text repeated, and fewer documents than states."""
+    few = spark.createDataFrame([(1, "a b"), (2, None)], "doc_id bigint, text string")
+    same = spark.createDataFrame([(i, "the same words again " * 20) for i in range(40)], "doc_id bigint, text string")
+    for docs in (X.awkward_documents(spark)[0], few, same, few.filter("doc_id = 0 - 1")):
+        rows = hm.score_documents(docs).collect()
+        assert len(rows) == docs.count() and all(math.isfinite(r.score) and r.score <= 0 for r in rows)
+
+
 def test_the_model_beats_its_base_on_held_out_texts(spark):
     rows = queries.op7_hidden_markov(spark, "/root/testdata/sf0.01").filter("held_out").collect()
     assert len(rows) > 50 and sum(r.score for r in rows) > sum(r.base_score for r in rows) * 0.98
