@@ -292,11 +292,23 @@ def units_in(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.
         yield pa.Table.from_batches(held)
 
 
+def _blocks(sets: DataFrame) -> DataFrame:
+    """``grp, node, n, block``: each group in blocks of about ``BLOCK_ENTRIES`` entries by set size.
+
+    Sums run inside range partitions and are shifted by those of the partitions before, so a large group is not one task.
+    """
+    dealt = sets.select("grp", "node", "n", F.greatest("n", F.lit(ROW_ENTRIES)).alias("weight")).repartitionByRange("grp", "n", "node")
+    dealt = shared.materialised(dealt.withColumn("task", F.spark_partition_id()), "sized")
+    earlier = Window.partitionBy("grp").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
+    shifts = dealt.groupBy("grp", "task").agg(F.sum("weight").alias("sum")).select("grp", "task", F.coalesce(F.sum("sum").over(earlier), F.lit(0)).alias("before"))
+    here = Window.partitionBy("grp", "task").orderBy("n", "node").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    summed = dealt.withColumn("upto", F.sum("weight").over(here)).join(shifts, ["grp", "task"])
+    return summed.select("grp", "node", "n", F.floor((F.col("upto") + F.col("before") - 1) / BLOCK_ENTRIES).alias("block"))
+
+
 def _products(sets: DataFrame, percent: int) -> DataFrame:
     """Links inside the groups: a spanning forest from each pair of blocks."""
-    by_size = Window.partitionBy("grp").orderBy("n", "node").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    laid = sets.select("grp", "node", "n").withColumn("block", F.floor((F.sum(F.greatest("n", F.lit(ROW_ENTRIES))).over(by_size) - 1) / BLOCK_ENTRIES))
-    laid = shared.materialised(laid, "blocks")
+    laid = shared.materialised(_blocks(sets), "blocks")
     spans = laid.groupBy("grp", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
     one, two = spans.alias("one"), spans.alias("two")
     pairs = one.join(two, "grp").filter("one.block <= two.block and 100 * one.high >= %d * two.low" % percent)
@@ -338,6 +350,7 @@ def find(docs: DataFrame, percent: int = 80, k: int = SHINGLE, id_col: str = "do
         least = joined.groupBy("component").agg(F.min("least").alias("root"))
         roots = joined.join(least, "component").select("node", "root", F.col("component").alias("tied"))
         classes = classes.join(roots, "node", "left").select("node", F.coalesce("root", "least").alias("least"), F.coalesce("tied", "component").alias("component"))
+    classes = shared.materialised(classes, "named")  # a plain table, so that a class with many copies can be split in the join
     named = F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("least")).alias("component_id")
     return out.join(classes, "node", "left").select("doc_id", "text_hash", "n_shingles", "node", "component", named)
 
@@ -348,6 +361,7 @@ def one_of_each(docs: DataFrame, percent: int = 80, k: int = SHINGLE, id_col: st
     inside = found.filter("component is not null")
     kept = inside.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash")).alias("kept"))
     same = F.col("doc_id").eqNullSafe(F.col("kept.doc_id")) & (F.col("text_hash") == F.col("kept.text_hash"))
+    kept = shared.materialised(kept, "kept")  # a plain table, so that a large component can be split in the join
     gone = inside.join(kept, "component").filter(~same).select(F.col("doc_id").alias("_gone_id"), F.col("text_hash").alias("_gone_hash")).distinct()
     text_hash = F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
     left = docs.withColumn("_text_hash", text_hash)
