@@ -60,6 +60,32 @@ def test_awkward_labels_and_texts(spark):
     assert toxicity.score(X.empty_documents(spark), flat).count() == 0
 
 
+def test_scores_equal_a_plain_implementation(spark):
+    """A table's scores from the trained weights, one filter and place after the other."""
+    docs = spark.createDataFrame([(i, ("vile scum " if i % 2 else "kind words ") * (1 + i % 3) + f"w{i % 7}", "en") for i in range(60)] + [(99, None, "en")], "doc_id bigint, text string, lang string")
+    labels = spark.createDataFrame([(i, 0, i % 2) for i in range(60)], "doc_id bigint, quality int, toxic int")
+    model = toxicity.fit(docs, labels)
+    rows = np.vstack([model.embedding, np.zeros((1, toxicity.DIM))])
+    for r in toxicity.score(docs, model).collect():
+        words = (r.text or "").split()
+        ids, bounds = toxicity.word_ids(pa.array([r.text or ""]))
+        x, z = rows[ids].sum(axis=1), model.intercept
+        for w, f in enumerate(model.filters):
+            for k in range(toxicity.FILTERS):
+                responses = [sum(float(x[p + j] @ f[j][:, k]) for j in range(len(f))) for p in range(len(words))]
+                at = w * toxicity.FILTERS + k
+                z += max(0.0, max(responses) + model.bias[at]) * model.output[at] if words else 0.0
+        assert r.score == pytest.approx(1 / (1 + math.exp(-z)), abs=1e-4)
+        assert r.doc_id == 99 or (r.score > 0.5) == (r.doc_id % 2 == 1)
+
+
+def test_repeated_ids_train_once(spark):
+    texts = [(i, "vile scum" if i % 2 else "kind words") for i in range(60)]
+    labels = spark.createDataFrame([(i, 0, i % 2) for i in range(60)], "doc_id bigint, quality int, toxic int")
+    one, many = (toxicity.fit(spark.createDataFrame(x, "doc_id bigint, text string"), labels) for x in (texts, texts + [(7, "vile scum")] * 500))
+    assert np.array_equal(one.embedding, many.embedding) and one.intercept == many.intercept
+
+
 def test_a_text_beyond_the_budget_is_skipped(spark, monkeypatch):
     monkeypatch.setattr(toxicity, "TRAIN_WORDS", 400)
     texts = [(i, "vile scum" if i % 2 else "kind words") for i in range(60)] + [(i, "long " * 1000) for i in range(60, 90)]
