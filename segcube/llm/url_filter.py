@@ -47,10 +47,20 @@ def rule_of(host: Column, path: Column, rules=RULES) -> Column:
     return out
 
 
+def _without_dots(path: Column) -> Column:
+    """A path with its ``.`` and ``..`` segments resolved; it ends in a slash where it ended in such a segment."""
+    parts = F.split(F.substring(path, 2, 1 << 30), "/")
+    step = lambda done, part: F.when(part == "..", F.slice(done, 1, F.greatest(F.size(done) - 1, F.lit(0)))).when(part == ".", done).otherwise(F.array_append(done, part))
+    left = F.aggregate(parts, F.array().cast("array<string>"), step)
+    ending = F.when(path.rlike(r"/\.\.?$") & (F.size(left) > 0), "/").otherwise("")
+    return F.when(path.rlike(r"/\.\.?(/|$)"), F.concat(F.lit("/"), F.array_join(left, "/"), ending)).otherwise(path)
+
+
 def address_of(url: Column) -> Column:
-    """Scheme and fragment do not tell addresses apart; host, path and query do.  Null where there is no host."""
-    rest = F.regexp_extract(F.coalesce(url, F.lit("")), r"(?s)^.*?://[^/?#]*([^#]*)", 1)
-    return F.when(host_of(url) != "", F.concat(host_of(url), F.when(rest.rlike(r"^(\?|$)"), F.concat(F.lit("/"), rest)).otherwise(rest)))
+    """Scheme, fragment and dot segments do not tell addresses apart; host, path and query do.  Null where there is no host."""
+    path = path_of(url)
+    query = F.regexp_extract(F.coalesce(url, F.lit("")), r"(?s)^.*?://[^?#]*(\?[^#]*)", 1)
+    return F.when(host_of(url) != "", F.concat(host_of(url), F.when(path == "", "/").otherwise(_without_dots(path)), query))
 
 
 def link_targets(html: Column) -> Column:
