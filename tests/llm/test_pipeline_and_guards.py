@@ -56,8 +56,12 @@ def test_awkward_rows_pass_through_the_stages(spark):
     assert sum(r.doc_id == 6 for r in rows) == 1 and not any(r.doc_id in (7, 9) and r.text != "other text with the same id" for r in rows)
     assert any(r.text == "other text with the same id" for r in rows)
     assert sum(r.text is None for r in rows) == 2
+    first = corpus_pipeline.STAGES[0][1]
+    given = X.awkward_documents(spark)[0]
+    left = first(spark, given, X.SF)
+    assert left.columns == given.columns and left.exceptAll(given).count() == 0 and left.count() > 0
     empty = X.empty_documents(spark)
-    for _, stage in corpus_pipeline.STAGES[1:]:
+    for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, empty, X.SF).count() == 0
 
 
