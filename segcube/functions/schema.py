@@ -105,6 +105,16 @@ class Grouping:
             at += n
         return Grouping.of(schema, groups, straddle)
 
+    @staticmethod
+    def by_entity(schema: CubeSchema, entity_of: dict[str, str], order) -> Grouping:
+        """A group for each entity (users, websites, advertisers), in ``order`` from left to right, over the schema with its dimensions put together so."""
+        missing = [d.name for d in schema.dims if entity_of.get(d.name) not in order]
+        if missing:
+            raise ValueError(f"dimensions {missing} belong to no entity in the order")
+        dims = [[d for d in schema.dims if entity_of[d.name] == e] for e in order]
+        arranged = CubeSchema(tuple(d for part in dims for d in part), schema.measures)
+        return Grouping.of(arranged, [[c for d in part for c in d.columns] for part in dims if part])
+
     def group(self, phase: int) -> tuple[str, ...]:
         return self.groups[len(self.groups) - phase]
 

@@ -81,9 +81,19 @@ def send(df: DataFrame, schema: CubeSchema, columns, ready: list[tuple[str, Colu
 
     Only ``columns`` and the mask are generated; all else passes by, so a partitioning by the other columns is kept.
     """
-    copies = [F.when(yes, F.struct(*((F.lit(None) if c == column else F.col(c)).alias(c) for c in columns), F.col(MASK).bitwiseOR(F.lit(schema.bit(column))).alias(MASK))) for column, yes in ready]
+    return send_masks(df, schema, columns, [(schema.bit(column), yes) for column, yes in ready], also)
+
+
+def send_masks(df: DataFrame, schema: CubeSchema, columns, ready: list[tuple[int, Column | None]], also: tuple[str, ...] = ()) -> DataFrame:
+    """The same for copies with several stars at once, given as bits; a condition of None always holds."""
+    copies = []
+    for bits, yes in ready:
+        copy = F.struct(*((F.lit(None) if bits & schema.bit(c) else F.col(c)).alias(c) for c in columns), F.col(MASK).bitwiseOR(F.lit(bits)).alias(MASK))
+        copies.append(copy if yes is None else F.when(yes, copy))
     passing = [*also, *(c for c in schema.columns if c not in set(columns)), *schema.state_names]
-    return df.select(*passing, F.inline(F.filter(F.array(F.struct(*columns, MASK), *copies), lambda x: x.isNotNull())))
+    sent = df.select(*passing, F.inline(F.array(F.struct(*columns, MASK), *copies)))
+    # a filter behind the generator stays in generated code, one inside the array would not
+    return sent if all(yes is None for _, yes in ready) else sent.filter(F.col(MASK).isNotNull())
 
 
 def lower_levels(schema: CubeSchema, column: str) -> tuple[str, ...]:

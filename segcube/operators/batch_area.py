@@ -3,7 +3,9 @@
 How areas are built is a reconstruction.  An area is a set of cuboids with shard columns that all its cuboids
 keep concrete (otherwise a segment would be split over tasks); areas are picked greedily, each time the one
 that covers most cuboids still open, among shards whose largest key, estimated from a sample, stays under a bound.  A cuboid
-that no shard suits is value-partitioned: it is computed per value of one more (large) column and combined in a later round.
+whose own largest key is beyond the bound is value-partitioned along its big dimension: the dimension, with all its levels, whose values split that key
+best, and another one as long as the bound is not met.  Its parts are computed in the area of the finer cuboid and combined in a later round, so it costs no further
+message per row.
 """
 
 from __future__ import annotations
@@ -16,13 +18,14 @@ from pyspark.sql import functions as F
 from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema
 from segcube.operators.broadcast import messages
+from segcube.sources import scratch
 
 
 @dataclass(frozen=True)
 class Area:
     shard: tuple[str, ...]
-    masks: tuple[int, ...]
-    split_by: str | None = None  # the column of a value partition
+    masks: tuple[int, ...]  # cuboids that are whole in each task
+    partitioned: tuple[int, ...] = ()  # value-partitioned cuboids, combined later
 
 
 def sample_load(df: DataFrame, schema: CubeSchema, fraction: float, seed: int = 7) -> DataFrame:
@@ -36,52 +39,55 @@ def estimate_load(df: DataFrame, schema: CubeSchema, fraction: float = 0.1, seed
     return {r[MASK]: r.max_load for r in sample_load(df, schema, fraction, seed).collect()}  # one row per cuboid
 
 
+def _finer(mask: int, schema: CubeSchema, load: dict[int, int], max_load: int) -> int:
+    """The cuboid whose area computes the parts of a cuboid: big dimensions get their values until the largest key fits (or none is left)."""
+    while mask and load.get(mask, 0) > max_load:
+        mask = min((mask & ~schema.bits(d.columns) for d in schema.dims if mask & schema.bits(d.columns)), key=lambda m: (load.get(m, 0), m))
+    return mask
+
+
 def plan_batch_areas(schema: CubeSchema, load: dict[int, int], max_load: int) -> list[Area]:
     masks, columns = S.legal_masks(schema), schema.columns
-    concrete = {m: tuple(c for c in columns if not m & schema.bit(c)) for m in masks}
-    members = {m: {n for n in masks if not n & ~m & (1 << len(columns)) - 1 or set(concrete[m]) <= set(concrete[n])} for m in masks}
-    fits = [m for m in masks if load.get(m, 0) <= max_load]
-    open_, areas = set(masks), []
+    fits = [m for m in masks if load.get(m, 0) <= max_load or not m]  # leaves cannot be split further
+    open_, areas = set(fits), []
     while open_:
-        best = max(fits, key=lambda m: (len(members[m] & open_), m), default=None)
-        if best is None or not members[best] & open_:
-            break
-        areas.append(Area(concrete[best], tuple(sorted(members[best] & open_))))
-        open_ -= members[best]
-    big = [d.columns[0] for d in schema.dims]
-    for m in sorted(open_):  # no shard suits: split by the column whose addition lowers the load most
-        choices = [c for c in big if c not in concrete[m]]
-        extra = min(choices, key=lambda c: load.get(m & ~schema.bit(c), 0), default=None)
-        areas.append(Area(concrete[m] + ((extra,) if extra else ()), (m,), extra))
-    return areas
+        best = max(fits, key=lambda m: (sum(1 for n in open_ if not n & ~m), m))
+        mine = {n for n in open_ if not n & ~best}
+        areas.append((best, mine))
+        open_ -= mine
+    area_of = {m: i for i, (_, mine) in enumerate(areas) for m in mine}
+    parts: dict[int, list[int]] = {}
+    for m in masks:
+        if m not in area_of:
+            parts.setdefault(area_of[_finer(m, schema, load, max_load)], []).append(m)
+    return [Area(tuple(c for c in columns if not best & schema.bit(c)), tuple(sorted(mine)), tuple(parts.get(i, ()))) for i, (best, mine) in enumerate(areas)]
 
 
 def area_messages(df: DataFrame, schema: CubeSchema, areas: list[Area]) -> DataFrame:
     """One row per input row and area, with the key that it is routed by."""
     columns = list(schema.columns)
-    copies = [F.struct(F.lit(i).alias("area"), F.xxhash64(F.lit(i), *(F.col(c) if c in a.shard else F.lit(None) for c in columns)).alias("shard"), *columns, MASK, *schema.state_names) for i, a in enumerate(areas)]
-    return S.lift(df, schema).select(F.inline(F.array(*copies)))
+    copies = [F.struct(F.lit(i).alias("area"), F.xxhash64(F.lit(i), *a.shard).alias("shard")) for i, a in enumerate(areas)]
+    return S.lift(df, schema).select(*columns, MASK, *schema.state_names, F.inline(F.array(*copies)))
 
 
 def batch_area_states(df: DataFrame, schema: CubeSchema, areas: list[Area]) -> DataFrame:
-    """All areas by one shuffle, then their columns starred one after the other inside the tasks; value partitions are combined last."""
+    """All areas by one shuffle; inside its task a row goes to all cuboids of its area, and one aggregate adds up.  Value partitions are combined last."""
     now = area_messages(df, schema, areas).repartition("shard")
-    now = S.merge(now, schema, "shard", "area")
-    for column in reversed(schema.columns):
-        free = [i for i, a in enumerate(areas) if any(m & schema.bit(column) for m in a.masks)]
-        if not free:
-            continue
-        below = schema.bits(S.lower_levels(schema, column))
-        ready = F.col("area").isin(free) & (F.col(MASK).bitwiseAND(F.lit(below)) == below) & ~S.has_star(schema, column)
-        now = S.merge(S.send(now, schema, (column,), [(column, ready)], ("shard", "area")), schema, "shard", "area")
-    whole = split = F.lit(False)
-    for i, a in enumerate(areas):
-        mine = (F.col("area") == i) & F.col(MASK).isin(list(a.masks))
-        whole, split = (whole | mine, split) if a.split_by is None else (whole, split | mine)
-    out = now.filter(whole).drop("shard", "area")
-    if any(a.split_by for a in areas):
-        out = out.unionByName(S.merge(now.filter(split).drop("shard", "area"), schema))
-    return out
+    kinds = {f.name: f.dataType for f in now.schema}
+
+    def copies(area: Area):
+        star = lambda m: F.struct(*((F.lit(None).cast(kinds[c]) if m & schema.bit(c) else F.col(c)).alias(c) for c in schema.columns), F.lit(m).cast("bigint").alias(MASK))
+        return F.array(*(star(m) for m in (*area.masks, *area.partitioned)))
+
+    chosen = copies(areas[0])
+    for i, area in enumerate(areas[1:], 1):
+        chosen = F.when(F.col("area") == i, copies(area)).otherwise(chosen)
+    now = S.merge(now.select("shard", "area", *schema.state_names, F.inline(chosen)), schema, "shard", "area")
+    split = [m for a in areas for m in a.partitioned]
+    if not split:
+        return now.drop("shard", "area")
+    now = scratch.materialised(now.drop("shard", "area"), "areas")
+    return now.filter(~F.col(MASK).isin(split)).unionByName(S.merge(now.filter(F.col(MASK).isin(split)), schema))
 
 
 def batch_area_cube(df: DataFrame, schema: CubeSchema, max_load: int, fraction: float = 0.1, keep=None) -> DataFrame:

@@ -4,28 +4,32 @@ Phase ``i`` clusters its input by the columns of all other groups; all segments
 one task, and every layer of stars is an aggregation without an exchange: hash partitioning by a subset of the grouping columns
 satisfies it, and ``inline`` keeps that partitioning (``Expand`` would not).  The mask is a grouping column but never a
 clustering column.  Rows of finished layers are carried through the later aggregates, so the plan stays linear.
+
+A single group leaves no column to shard by; its layers are then exchanged one by one, as in the layer chain, at any size.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import product
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema, Grouping
 from segcube.sources import scratch
 
-#: Rows that a single group without any sharding column may have unless its parents are pre-combined.
-SINGLE_TASK_ROWS = 1_000_000
+#: Rows that a task's combiner holds at most before it adds them up.
+COMBINE_ROWS = 500_000
 
 
 def cluster_by_other_groups(df: DataFrame, grouping: Grouping, phase: int) -> DataFrame:
     """The phase's only shuffle: one message per row, routed by the other groups' values."""
     others = grouping.others(phase)
-    return df.repartition(*others) if others else df.coalesce(1)
+    return df.repartition(*others) if others else df
 
 
 def layer_step(df: DataFrame, schema: CubeSchema, group, k: int, also: tuple[str, ...] = (), guard: bool = False) -> DataFrame:
@@ -64,6 +68,25 @@ def _sweep(df, schema, group, guard, also=()):
     return df
 
 
+def _direct(df, schema, group, guard):
+    """Every merged row sends itself to all its segments of the group at once, and one aggregate adds them up.
+
+    More messages than by primary children, but each row is hashed once and not once per layer: for groups of few cuboids.
+    """
+    parts = schema.dims_of(group)
+    ready = []
+    for kept in product(*(range(len(p), -1, -1) for p in parts)):
+        starred = [(p, p[k:]) for p, k in zip(parts, kept, strict=True) if k < len(p)]
+        if not starred:
+            continue
+        yes = None
+        if guard:  # levels in another group have to be stars already
+            below = schema.bits(c for p, _ in starred for c in S.lower_levels(schema, p[-1]))
+            yes = F.col(MASK).bitwiseAND(F.lit(below)) == below
+        ready.append((schema.bits(c for _, cs in starred for c in cs), yes))
+    return S.merge(S.send_masks(df, schema, group, ready), schema)
+
+
 def _union(df, schema, group, guard):
     """One aggregate per layer, the layers put together by union (each layer is computed again for those above it)."""
     layers = [df]
@@ -101,24 +124,59 @@ def _arrow(df, schema, group, guard, others):
             layers.append(add(pa.concat_tables(sent)))
         return pa.concat_tables(layers)
 
-    if guard:
-        raise ValueError("the Arrow kernel has no guard for dimensions over a border")
+    if guard or not others:
+        raise ValueError("the Arrow kernel has no guard for dimensions over a border, and needs a column to shard by")
     return df.groupBy(*others).applyInArrow(run, out_schema)
 
 
-KERNELS = {"layers": _layered, "sweep": _sweep, "union": _union}
+KERNELS = {"layers": _layered, "sweep": _sweep, "direct": _direct, "union": _union}
 
 
 def materialise_locally(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "layers") -> DataFrame:
-    """Merge equal vectors of the group, then all its stars, without an exchange."""
+    """Merge equal vectors of the group, then all its stars, without an exchange (but for a single group)."""
     schema, group = grouping.schema, grouping.group(phase)
     if kernel == "arrow":
         return _arrow(df, schema, group, grouping.guard, grouping.others(phase))
     return KERNELS[kernel](S.merge(df, schema), schema, group, grouping.guard)
 
 
+def combined_in_tasks(df: DataFrame, schema: CubeSchema) -> DataFrame:
+    """Equal segments of a task added up before any shuffle, ``COMBINE_ROWS`` at a time: a combiner of sums, minima and maxima.
+
+    Spark's own partial aggregates always bring their exchange (by all columns) along, so this one is in Arrow.  Other
+    states are left as they are, to be merged behind the shuffle.
+    """
+    plain = (T.NumericType, T.StringType, T.BooleanType, T.DateType, T.TimestampType, T.TimestampNTZType)
+    if any(s.merge not in ("sum", "min", "max") or not isinstance(df.schema[s.name].dataType, plain) for s in schema.states):
+        return df
+    keys, kinds = [*schema.columns, MASK], [(s.name, s.merge) for s in schema.states]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        rows = 0
+
+        def added() -> pa.Table:
+            table = pa.Table.from_batches(held)
+            sums = table.group_by(keys).aggregate(kinds).rename_columns([*keys, *(n for n, _ in kinds)])
+            return sums.select(table.schema.names).cast(table.schema)
+
+        for batch in batches:
+            held.append(batch)
+            rows += batch.num_rows
+            if rows >= COMBINE_ROWS:
+                table = added()
+                held, rows = table.to_batches(), table.num_rows
+                if rows > COMBINE_ROWS // 2:  # little in common: pass on
+                    yield from held
+                    held, rows = [], 0
+        if held:
+            yield from added().to_batches()
+
+    return df.mapInArrow(run, df.schema)
+
+
 def precombine(df: DataFrame, grouping: Grouping, phase: int, heavy: str) -> DataFrame:
-    """For a very large dimension: rows send their first-layer parents before the shuffle, where partial aggregation combines them.
+    """For a very large dimension: rows send their first-layer parents before the shuffle, where each task combines them.
 
     ``last_parent``: the one parent that stars the group's last dimension; ``all_parents``: one per dimension of the group.
     """
@@ -126,7 +184,7 @@ def precombine(df: DataFrame, grouping: Grouping, phase: int, heavy: str) -> Dat
     parts = schema.dims_of(group)
     first = {p[-1] for p in (parts[-1:] if heavy == "last_parent" else parts)}
     ready = [(c, _levels_below_are_stars(schema, c) if grouping.guard else F.lit(True)) for c in group if c in first]
-    return S.merge(S.send(df, schema, group, ready), schema)
+    return combined_in_tasks(S.send(df, schema, group, ready), schema)
 
 
 def _after_precombining(df: DataFrame, grouping: Grouping, phase: int, heavy: str) -> DataFrame:
@@ -142,24 +200,31 @@ def _after_precombining(df: DataFrame, grouping: Grouping, phase: int, heavy: st
     return df
 
 
-def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "layers", heavy: str | None = None) -> DataFrame:
+def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "layers", heavy: str | None = None, routed: Observation | None = None) -> DataFrame:
+    """``routed`` observes ``n``, the rows that go into the phase's shuffle."""
     if heavy:
         df = precombine(df, grouping, phase, heavy)
-        return _after_precombining(cluster_by_other_groups(df, grouping, phase), grouping, phase, heavy)
-    return materialise_locally(cluster_by_other_groups(df, grouping, phase), grouping, phase, kernel)
+    if routed is not None:
+        df = df.observe(routed, F.count(F.lit(1)).alias("n"))
+    df = cluster_by_other_groups(df, grouping, phase)
+    return _after_precombining(df, grouping, phase, heavy) if heavy else materialise_locally(df, grouping, phase, kernel)
+
 
+def phase_outputs(
+    df: DataFrame, grouping: Grouping, kernel: str = "layers", heavy: str | None = None, premerge: bool = False, store: bool = False, read: Observation | None = None, routed: dict[int, Observation] | None = None
+) -> Iterator[DataFrame]:
+    """The output of each phase in turn; with ``store`` each is written and read back, a point to restart from.
 
-def phase_outputs(df: DataFrame, grouping: Grouping, kernel: str = "layers", heavy: str | None = None, premerge: bool = False, store: bool = False) -> Iterator[DataFrame]:
-    """The output of each phase in turn; with ``store`` each is written and read back, a point to restart from."""
+    ``read`` observes ``n``, the input rows, and ``routed`` the rows into each phase's shuffle.
+    """
     schema = grouping.schema
-    if len(grouping.groups) == 1 and not heavy:
-        if df.limit(SINGLE_TASK_ROWS + 1).count() > SINGLE_TASK_ROWS:
-            raise ValueError("a single group leaves no column to shard by; use more groups or heavy='all_parents'")
     now = S.lift(df, schema)
+    if read is not None:
+        now = now.observe(read, F.count(F.lit(1)).alias("n"))
     if premerge:  # combines equal keys before the first shuffle by other groups
         now = S.merge(now, schema)
     for phase in grouping.phases:
-        now = run_phase(now, grouping, phase, kernel, heavy)
+        now = run_phase(now, grouping, phase, kernel, heavy, (routed or {}).get(phase))
         if store:
             now = scratch.materialised(now, f"phase-{phase}")
         yield now

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema
+from segcube.sources import scratch
 
 
 def mask_of(schema: CubeSchema, concrete) -> int:
@@ -110,17 +111,67 @@ def top_segments(cube: DataFrame, schema: CubeSchema, k: int, by: Column) -> Dat
 
 
 def rank_in_cuboid(cube: DataFrame, schema: CubeSchema, measure: str) -> DataFrame:
-    order = Window.partitionBy(MASK).orderBy(F.desc(measure), *(F.col(c).asc_nulls_first() for c in schema.columns))
-    by_value = Window.partitionBy(MASK).orderBy(F.desc(measure))
-    return cube.withColumns({"row_number": F.row_number().over(order), "rank": F.rank().over(by_value), "dense_rank": F.dense_rank().over(by_value), "quarter": F.ntile(4).over(order), "percent": F.percent_rank().over(by_value)})
+    """Row number, rank, dense rank, quarter and percent rank by ``measure`` inside each cuboid.
+
+    A large cuboid is not sorted in one task: rows are range-partitioned by mask and order, ranked inside their task, and
+    shifted by the numbers of rows and of distinct values of the tasks before (a row for each task and mask).
+    """
+    order = [F.col(MASK), F.desc(measure), *(F.col(c).asc_nulls_first() for c in schema.columns)]
+    dealt = scratch.materialised(cube.repartitionByRange(F.col(MASK), F.desc(measure)).sortWithinPartitions(*order).withColumn("_task", F.spark_partition_id()), "ranked")
+    local = Window.partitionBy("_task", MASK)
+    # equal values are in one task, as tasks are cut by mask and value only
+    by_row, by_value = local.orderBy(*order[1:]), local.orderBy(F.desc(measure))
+    here = dealt.withColumns({"_row": F.row_number().over(by_row), "_rank": F.rank().over(by_value), "_dense": F.dense_rank().over(by_value)})
+    sizes = dealt.groupBy("_task", MASK).agg(F.count(F.lit(1)).alias("_n"), F.countDistinct(F.struct(measure)).alias("_v"))
+    earlier = Window.partitionBy(MASK).orderBy("_task").rowsBetween(Window.unboundedPreceding, -1)
+    shifts = sizes.select("_task", MASK, F.coalesce(F.sum("_n").over(earlier), F.lit(0)).alias("_n0"), F.coalesce(F.sum("_v").over(earlier), F.lit(0)).alias("_v0"), F.sum("_n").over(Window.partitionBy(MASK)).alias("_all"))
+    out = here.join(shifts, ["_task", MASK])
+    row, rank, size = F.col("_row") + F.col("_n0"), F.col("_rank") + F.col("_n0"), F.col("_all")
+    small = F.floor(size / 4)  # quarters: the first ``size % 4`` hold one row more
+    longer = size % 4
+    in_longer = row <= longer * (small + 1)
+    quarter = F.when(in_longer, F.floor((row - 1) / (small + 1)) + 1).otherwise(longer + F.floor((row - 1 - longer * (small + 1)) / F.greatest(small, F.lit(1))) + 1)
+    percent = F.when(size > 1, (rank - 1).cast("double") / (size - 1).cast("double")).otherwise(0.0)
+    return out.select(*cube.columns, row.cast("int").alias("row_number"), rank.cast("int").alias("rank"), (F.col("_dense") + F.col("_v0")).cast("int").alias("dense_rank"), quarter.cast("int").alias("quarter"), percent.alias("percent"))
+
+
+def inner_members(cube: DataFrame, schema: CubeSchema, column: str) -> DataFrame:
+    """Segments of the cube without its innermost ``column``, a row for each of their members there; the mask is that of the outer cube."""
+    if schema.columns[-1] != column:
+        raise ValueError(f"{column} is not the innermost column")
+    outer = [c for c in cube.columns if c != MASK]
+    return cube.filter(~S.has_star(schema, column)).select(*outer, F.shiftright(MASK, 1).alias(MASK))
+
+
+def distinct_members(cube: DataFrame, schema: CubeSchema, column: str, name: str) -> DataFrame:
+    """Exact distinct counts at any cardinality: the column was cubed as the innermost one, its values are counted (nulls are none)."""
+    return inner_members(cube, schema, column).groupBy(*schema.columns[:-1], MASK).agg(F.count(column).alias(name))
+
+
+def top_members(cube: DataFrame, schema: CubeSchema, column: str, measure: str, k: int) -> DataFrame:
+    """The ``k`` members of each segment with the largest ``measure``, ties to the smaller member, with their ``place``."""
+    order = Window.partitionBy(*schema.columns[:-1], MASK).orderBy(F.desc(measure), F.col(column).asc_nulls_first())
+    members = inner_members(cube, schema, column).withColumn("place", F.row_number().over(order))
+    return members.filter(F.col("place") <= k).select(*schema.columns, MASK, "place", measure)
 
 
 def containing_segments(cube: DataFrame, schema: CubeSchema, rows: DataFrame) -> DataFrame:
-    """Pairs of a segment and a row in it: a theta join, for small cubes and checks."""
-    held = F.lit(True)
-    for c in schema.columns:
-        held &= S.has_star(schema, c) | F.col(f"s.{c}").eqNullSafe(F.col(f"r.{c}"))
-    return F.broadcast(cube).alias("s").join(rows.alias("r"), held)
+    """Pairs of a segment and a row in it: for small cubes and checks.
+
+    One equality join per cuboid, so no side has to be broadcast and no pair is tried in vain.
+    """
+    out = None
+    for mask in S.legal_masks(schema):
+        held = [c for c in schema.columns if not mask & schema.bit(c)]
+        same = F.lit(True)
+        for c in held:
+            same &= F.col(f"s.{c}").eqNullSafe(F.col(f"r.{c}"))
+        one = cube.filter(F.col(MASK) == mask).alias("s")
+        # the segment of all stars is a single row
+        pairs = one.join(rows.alias("r"), same) if held else F.broadcast(one.limit(1).alias("s")).join(rows.alias("r"), F.lit(True))
+        pairs = pairs.select(F.struct("s.*").alias("s"), F.struct("r.*").alias("r"))
+        out = pairs if out is None else out.unionByName(pairs)
+    return out
 
 
 def merge_cubes(one: DataFrame, two: DataFrame, schema: CubeSchema) -> DataFrame:

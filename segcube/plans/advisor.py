@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from segcube.functions import segments as S
 from segcube.functions.schema import CubeSchema, Dimension, Grouping
 from segcube.plans import ledger
+from segcube.sources import scratch
 
 
 @dataclass(frozen=True)
@@ -35,17 +36,17 @@ def _cuts(n: int, g: int):
             yield (first, *rest)
 
 
-def advise_grouping(df: DataFrame, schema: CubeSchema, g: int = 3, sample: float = 0.01, max_share: float = 0.05, seed: int = 11, candidates: int = 4) -> Advice:
-    """Dimensions with few values go right (they are processed first); of the cuts into ``g`` groups, those with most columns
-    left for the last phase are tried on a sample cube, and the one with the best locality whose largest key stays under ``max_share`` is taken."""
+def advise_grouping(df: DataFrame, schema: CubeSchema, g: int = 3, sample: float = 0.01, max_share: float = 0.05, seed: int = 11) -> Advice:
+    """Dimensions with few values go right (they are processed first); every cut into ``g`` groups is
+    tried on a cube of a stored sample, and the one with the best locality whose largest key stays under ``max_share`` is taken."""
     known = {r["column"]: r["values"] for r in cardinalities(df, schema).collect()}
     dims = sorted(schema.dims, key=lambda d: (-max(known[c] for c in d.columns), d.name))
     ordered = CubeSchema(tuple(Dimension(d.name, d.columns) for d in dims), schema.measures)
-    sampled = df.sample(fraction=sample, seed=seed).select(*dict.fromkeys(df.columns)) if sample < 1 else df
+    sampled = scratch.materialised(df.sample(fraction=sample, seed=seed) if sample < 1 else df, "sample")
     g = min(g, len(dims))
     cuts = sorted(_cuts(len(dims), g), key=lambda c: c[0], reverse=True)
     best = None
-    for cut in cuts[:: -(-len(cuts) // candidates)]:
+    for cut in cuts:
         groups, at = [], 0
         for n in cut:
             groups.append([c for d in dims[at : at + n] for c in d.columns])

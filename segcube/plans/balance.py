@@ -13,8 +13,10 @@ def shard_share(df: DataFrame, columns) -> DataFrame:
 
 
 def machine_balance(loads: DataFrame, columns, work: str, machines: int) -> DataFrame:
-    """Work of the busiest machine over the mean, keys being dealt to machines by hash."""
-    dealt = loads.groupBy(F.pmod(F.hash(*columns), F.lit(machines)).alias("machine")).agg(F.sum(work).alias("work"))
+    """Work of the busiest machine over the mean, keys being dealt to machines by a hash of their text."""
+    digest = F.md5(F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("\\N")) for c in columns)))
+    number = F.conv(F.substring(digest, 1, 8), 16, 10).cast("bigint")
+    dealt = loads.groupBy((number % machines).alias("machine")).agg(F.sum(work).alias("work"))
     return dealt.agg(F.max("work").alias("max_work"), F.sum("work").alias("all_work")).withColumn("max_over_mean", F.try_divide(F.col("max_work").cast("double") * machines, F.col("all_work").cast("double")))
 
 

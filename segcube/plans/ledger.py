@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from segcube.functions import segments as S
@@ -18,7 +18,7 @@ from segcube.operators.grouped_phases import phase_outputs
 
 PHASE_ROW = (
     "phase int, input_rows bigint, remote_msgs bigint, h0_inserts bigint, output_rows bigint, local_msgs bigint, phase_blow_up double, local_per_remote double, "
-    "max_nodes_per_key bigint, max_local_per_key bigint, node_share double, local_share double, seconds double"
+    "max_nodes_per_key bigint, max_local_per_key bigint, node_share double, local_share double, shuffle_records bigint, seconds double"
 )
 
 
@@ -33,18 +33,29 @@ def key_loads(output: DataFrame, grouping: Grouping, phase: int) -> DataFrame:
     return output.groupBy(*grouping.others(phase), other_mask).agg(F.count(F.lit(1)).alias("nodes"), F.sum(S.number_of_parents(schema, group)).alias("local_msgs"))
 
 
-def phase_stats(df: DataFrame, grouping: Grouping, **options) -> list[tuple]:
-    """A tuple of ``PHASE_ROW`` for each phase; seconds cover computing and storing the phase."""
-    rows, before, began = [], df.count(), time.perf_counter()
-    outputs = phase_outputs(df, grouping, store=True, **options)
+def run_phases(df: DataFrame, grouping: Grouping, **options) -> tuple[list[tuple], DataFrame]:
+    """A tuple of ``PHASE_ROW`` for each phase, and the cube's states.
+
+    Seconds cover computing and storing the phase.  ``shuffle_records`` are the rows that really go into its shuffle: its
+    input rows, or what combiners leave of them.
+    """
+    rows, before, output, read = [], None, None, Observation()
+    routed = {p: Observation() for p in grouping.phases}
+    began = time.perf_counter()
+    outputs = phase_outputs(df, grouping, store=True, read=read, routed=routed, **options)
     for phase in grouping.phases:
         output = next(outputs)
         seconds = time.perf_counter() - began
+        before = read.get["n"] if before is None else before
         x = key_loads(output, grouping, phase).agg(F.sum("nodes").alias("n"), F.sum("local_msgs").alias("m"), F.max("nodes").alias("top_n"), F.max("local_msgs").alias("top_m")).first()
         n, m = x.n or 0, x.m or 0
-        rows.append((phase, before, before, before, n, m, _over(n, before), _over(m, before), x.top_n or 0, x.top_m or 0, _over(x.top_n or 0, n), _over(x.top_m or 0, m), seconds))
+        rows.append((phase, before, before, before, n, m, _over(n, before), _over(m, before), x.top_n or 0, x.top_m or 0, _over(x.top_n or 0, n), _over(x.top_m or 0, m), routed[phase].get["n"], seconds))
         before, began = n, time.perf_counter()
-    return rows
+    return rows, output
+
+
+def phase_stats(df: DataFrame, grouping: Grouping, **options) -> list[tuple]:
+    return run_phases(df, grouping, **options)[0]
 
 
 def phase_ledger(df: DataFrame, grouping: Grouping, **options) -> DataFrame:
@@ -58,7 +69,7 @@ def totals(rows: list[tuple]) -> dict[str, float | None]:
     return {
         "input_rows": raw, "cube_rows": cube, "output_rows": sum(r[4] for r in rows), "remote_msgs": remote, "remote_msgs_after_first": later, "local_msgs": local,
         "h0_inserts": sum(r[3] for r in rows), "local_with_h0": local + sum(r[3] for r in rows), "locality": _over(local, local + later), "blow_up": _over(cube, raw), "local_per_segment": _over(local, cube),
-        "messages_per_segment": _over(local + remote, cube), "remote_per_input_row": _over(remote, raw), "remote_after_first_per_input_row": _over(later, raw), "seconds": sum(r[12] for r in rows),
+        "messages_per_segment": _over(local + remote, cube), "remote_per_input_row": _over(remote, raw), "remote_after_first_per_input_row": _over(later, raw), "shuffle_records": sum(r[12] for r in rows), "seconds": sum(r[13] for r in rows),
         "largest_local_share": max((r[11] or 0 for r in rows), default=0), "largest_node_share": max((r[10] or 0 for r in rows), default=0),
     }
 
@@ -73,9 +84,8 @@ def layered_messages(cube: DataFrame, schema: CubeSchema) -> int:
 
 
 def method_messages(spark: SparkSession, df: DataFrame, grouping: Grouping, areas: int) -> DataFrame:
-    """Logical messages of each method on one input."""
-    rows = phase_stats(df, grouping)
-    *_, cube = phase_outputs(df, grouping, store=True)
+    """Logical messages of each method on one input; ``areas`` is the number of batch areas of a plan for it."""
+    rows, cube = run_phases(df, grouping)
     all_, raw = totals(rows), rows[0][1]
     chain = layered_messages(cube, grouping.schema)
     out = [
@@ -84,6 +94,12 @@ def method_messages(spark: SparkSession, df: DataFrame, grouping: Grouping, area
     return spark.createDataFrame(out, "method string, remote_msgs bigint, local_msgs bigint")
 
 
+def total_rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
+    """``measure, value``: the totals of a run, without its seconds."""
+    kept = [(k, None if v is None else float(v)) for k, v in totals(rows).items() if k != "seconds"]
+    return spark.createDataFrame(kept, "measure string, value double")
+
+
 def primary_parent_histogram(cube: DataFrame, schema: CubeSchema) -> DataFrame:
     """Segments by number of primary parents; never more than there are dimensions."""
     return cube.groupBy(S.number_of_parents(schema).alias("parents")).agg(F.count(F.lit(1)).alias("segments"))

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from segcube.functions.schema import MASK
+from segcube.sources import scratch
 
 FORMATS = ("parquet", "orc", "json", "csv")
 
@@ -66,11 +67,18 @@ def skewed(rows: DataFrame) -> DataFrame:
 
 
 def encode(df: DataFrame, column: str) -> tuple[DataFrame, DataFrame]:
-    """Dictionary coding: ``df`` with integer codes in place of values, and the dictionary (distinct values, numbered)."""
+    """Dictionary coding: ``df`` with integer codes in place of values, and the dictionary (distinct values, numbered in order).
+
+    Values are numbered inside range partitions and shifted by the sizes of the partitions before, not sorted in one task.
+    """
     from pyspark.sql import Window
 
     words = df.select(column).distinct().filter(F.col(column).isNotNull())
-    words = words.withColumn("code", F.row_number().over(Window.orderBy(column)))
+    words = scratch.materialised(words.repartitionByRange(column).withColumn("_task", F.spark_partition_id()), "words")
+    sizes = words.groupBy("_task").agg(F.count(F.lit(1)).alias("n"))  # a row for each partition
+    shifts = sizes.select("_task", F.coalesce(F.sum("n").over(Window.orderBy("_task").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    place = F.row_number().over(Window.partitionBy("_task").orderBy(column))
+    words = words.withColumn("place", place).join(F.broadcast(shifts), "_task").select(column, (F.col("place") + F.col("before")).cast("int").alias("code"))
     return df.join(words, column, "left").drop(column).withColumnRenamed("code", column), words
 
 

@@ -9,6 +9,7 @@ from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema, Grouping
 from segcube.operators.broadcast import messages
 from segcube.operators.grouped_phases import grouped_states
+from segcube.sources import scratch
 
 
 def batch_sink(folder: str, grouping: Grouping, prepare=lambda df: df):
@@ -43,8 +44,14 @@ def continuous_states(stream: DataFrame, schema: CubeSchema, time: str | None =
     return out.select(F.col("window.start").alias("window_start"), *schema.columns, MASK, *schema.state_names)
 
 
-def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there now into a table in memory (for small results and tests)."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """Run a stream over what is there now into a stored table: Parquet files for appended rows; for complete results the last state replaces the one before."""
+    spark = stream.sparkSession
+    target, offsets = scratch.new_folder(spark, "drained"), scratch.new_folder(spark, "offsets")
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", offsets).trigger(availableNow=True)
+    if mode == "append":
+        query = writer.format("parquet").start(target)
+    else:
+        query = writer.foreachBatch(lambda batch, _: batch.write.mode("overwrite").parquet(target)).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    return spark.read.schema(stream.schema).parquet(target)

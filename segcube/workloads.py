@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -62,6 +63,10 @@ def cube_sql(shape: str, source: str = WIDE_SQL, values: dict[str, str] | None =
     return f"WITH {source} {cube_select(schema, source.split()[0], plain, where)}"
 
 
+_COUNT = (M.count("n"),)
+_COUNT_SQL = {"n": big("count(*)")}
+
+
 def register(name: str, sql: str | None = None):
     def add(f: Query) -> Query:
         QUERIES[name] = f
@@ -106,6 +111,7 @@ _METHODS: dict[str, tuple[str, Query]] = {
     "s5_grouped_heavy_last": (S5, _grouped(S5, heavy="last_parent")),
     "s5_grouped_heavy_all": (S5, _grouped(S5, heavy="all_parents")),
     "s5_kernel_sweep": (S5, _grouped(S5, kernel="sweep")),
+    "s5_kernel_direct": (S5, _grouped(S5, kernel="direct")),
     "s5_kernel_union": (S5, _grouped(S5, kernel="union")),
     "s5_kernel_arrow": (S5, _grouped(S5, kernel="arrow")),
     "s5_stored_phases": (S5, _grouped(S5, store=True)),
@@ -115,6 +121,8 @@ _METHODS: dict[str, tuple[str, Query]] = {
     "s5_gm": (S5, _grouped(S5, groups=(1, 1, 1, 1, 1), straddle="guard")),
     "s5_straddle_guard": (S5, _grouped(S5, groups=(2, 3), straddle="guard")),
     "s8_grouped": (S8, _grouped(S8)),
+    "s8_grouped_direct": (S8, _grouped(S8, kernel="direct")),
+    "s8_batch_area": (S8, _other(S8, batch_area.batch_area_cube, max_load=20_000, fraction=0.2)),
     "s8_layered": (S8, _other(S8, layered_chain.layered_cube)),
     "s8_broadcast": (S8, _other(S8, broadcast.broadcast_cube)),
     "s8_grouping_sets": (S8, _other(S8, broadcast.broadcast_cube, style="grouping_sets")),
@@ -125,6 +133,16 @@ for _name, (_shape, _query) in _METHODS.items():
     QUERIES[_name], ORACLE_SQL[_name] = _query, cube_sql(_shape)
 
 
+_ENTITIES = {"l_returnflag": "advertisers", "c_region": "users", "p_brand": "websites", "o_orderpriority": "users", "l_linestatus": "advertisers", "p_type": "websites", "c_mktsegment": "users"}
+
+
+@register("s8_by_entity", cube_sql(S8))
+def s8_by_entity(spark, folder):
+    """S8 from dimensions in any order: those of an entity (customer, part, line) form a group."""
+    given, _ = shaped("l_returnflag, c_region>c_nation, p_brand, o_orderpriority, l_linestatus, p_type, c_mktsegment")
+    return grouped_cube(tables.wide(spark, folder), Grouping.by_entity(given, _ENTITIES, ["users", "websites", "advertisers"]))
+
+
 @register("s5_deltas", cube_sql(S5).replace("SELECT c_region", "SELECT CAST(CASE WHEN GROUPING(c_region, c_nation, c_custkey) > 0 THEN 2 WHEN GROUPING(p_type, s_nation) > 0 THEN 1 ELSE 0 END AS INTEGER) AS phase, c_region", 1))
 def s5_deltas(spark, folder):
     """What each phase adds; together the cube."""
@@ -159,6 +177,29 @@ QUERIES["distinct_per_segment"] = _grouped(TIME, (M.count("n"), M.distinct_exact
 ORACLE_SQL["distinct_per_segment"] = cube_sql(TIME, values={"n": big("count(*)"), "customers": big("count(DISTINCT c_custkey)")})
 QUERIES["sketches_per_segment"] = _grouped(TIME, (M.distinct_estimate("c_custkey", "customers"), M.quantile_estimate("qty", 0.5, "median_qty")))
 
+_INNER = TIME + ", c_custkey"
+
+
+@register("distinct_by_inner_column", cube_sql(TIME, values={"customers": big("count(DISTINCT c_custkey)")}))
+def distinct_by_inner_column(spark, folder):
+    """Exact distinct counts without sets: the counted column is cubed as the innermost one."""
+    schema, grouping = shaped(_INNER, _COUNT)
+    return query.distinct_members(grouped_cube(tables.wide(spark, folder), grouping), schema, "c_custkey", "customers")
+
+
+_INNER_SQL = f"SELECT ship_year, ship_month, p_type, l_returnflag, c_custkey, star_mask >> 1 AS star_mask, sum_cents FROM ({cube_sql(_INNER, values={'sum_cents': big('sum(cents)')})}) WHERE star_mask & 1 = 0"
+
+
+@register(
+    "top_members_per_segment",
+    f"SELECT * FROM (SELECT *, CAST(row_number() OVER (PARTITION BY star_mask, ship_year, ship_month, p_type, l_returnflag ORDER BY sum_cents DESC, c_custkey NULLS FIRST) AS INTEGER) AS place FROM ({_INNER_SQL})) WHERE place <= 3",
+)
+def top_members_per_segment(spark, folder):
+    """The three customers with the largest revenue of each segment."""
+    schema, grouping = shaped(_INNER, (M.total("cents"),))
+    return query.top_members(grouped_cube(tables.wide(spark, folder), grouping), schema, "c_custkey", "sum_cents", 3)
+
+
 _NULL_SQL = WIDE_SQL + ", nulled AS (SELECT * REPLACE (CASE WHEN p_type = 'PROMO' OR p_size < 10 THEN NULL ELSE p_type END AS p_type) FROM wide)"
 
 
@@ -197,7 +238,7 @@ def ledger_sql(shape: str) -> str:
         rows.append(
             f"SELECT CAST({p} AS INTEGER) AS phase, {big(n_in)} AS input_rows, {big(n_in)} AS remote_msgs, {big(n_in)} AS h0_inserts, {big('sum(nodes)')} AS output_rows, {big('sum(msgs)')} AS local_msgs, "
             f"CAST(sum(nodes) AS DOUBLE) / {n_in} AS phase_blow_up, CAST(sum(msgs) AS DOUBLE) / {n_in} AS local_per_remote, {big('max(nodes)')} AS max_nodes_per_key, {big('max(msgs)')} AS max_local_per_key, "
-            f"CAST(max(nodes) AS DOUBLE) / CAST(sum(nodes) AS DOUBLE) AS node_share, CAST(max(msgs) AS DOUBLE) / CAST(sum(msgs) AS DOUBLE) AS local_share FROM k{p}"
+            f"CAST(max(nodes) AS DOUBLE) / CAST(sum(nodes) AS DOUBLE) AS node_share, CAST(max(msgs) AS DOUBLE) / CAST(sum(msgs) AS DOUBLE) AS local_share, {big(n_in)} AS shuffle_records FROM k{p}"
         )
     return ctes + " " + " UNION ALL ".join(rows)
 
@@ -216,44 +257,154 @@ def blow_up_by_phase(spark, folder):
     return _ledger(S8)(spark, folder).select("phase", "phase_blow_up")
 
 
-@register("redundant_input_ledger")
+_REDUNDANT = "p_type | l_returnflag, l_linestatus"
+
+
+@register("redundant_input_ledger", ledger_sql(_REDUNDANT))
 def redundant_input_ledger(spark, folder):
     """Sixty thousand rows onto a few dozen leaf keys: phase 1 shrinks its input."""
-    return ledger.phase_ledger(tables.wide(spark, folder), shaped("p_type | l_returnflag, l_linestatus")[1]).drop("seconds")
+    return _ledger(_REDUNDANT)(spark, folder)
+
+
+def totals_sql(shape: str) -> str:
+    """The totals of a run from its phases, a row for each."""
+    value = {
+        "input_rows": "raw", "cube_rows": "cube", "output_rows": "outs", "remote_msgs": "remote", "remote_msgs_after_first": "remote - raw", "local_msgs": "msgs", "h0_inserts": "remote", "local_with_h0": "msgs + remote",
+        "locality": "msgs / (msgs + remote - raw)", "blow_up": "cube / raw", "local_per_segment": "msgs / cube", "messages_per_segment": "(msgs + remote) / cube", "remote_per_input_row": "remote / raw",
+        "remote_after_first_per_input_row": "(remote - raw) / raw", "shuffle_records": "remote", "largest_local_share": "top_local", "largest_node_share": "top_node",
+    }
+    sums = "CAST(max(CASE WHEN phase = 1 THEN input_rows END) AS DOUBLE) AS raw, CAST(max_by(output_rows, phase) AS DOUBLE) AS cube, CAST(sum(output_rows) AS DOUBLE) AS outs, CAST(sum(remote_msgs) AS DOUBLE) AS remote, CAST(sum(local_msgs) AS DOUBLE) AS msgs, max(local_share) AS top_local, max(node_share) AS top_node"
+    rows = " UNION ALL ".join(f"SELECT '{k}' AS measure, CAST({v} AS DOUBLE) AS value FROM t" for k, v in value.items())
+    return f"WITH phases AS ({ledger_sql(shape)}), t AS (SELECT {sums} FROM phases) {rows}"
+
+
+for _name, _shape in (("s5_run_totals", S5), ("s8_run_totals", S8)):
+    QUERIES[_name] = lambda spark, folder, shape=_shape: ledger.total_rows(spark, ledger.phase_stats(tables.wide(spark, folder), shaped(shape)[1]))
+    ORACLE_SQL[_name] = totals_sql(_shape)
+
+
+@register("s8_run_times")
+def s8_run_times(spark, folder):
+    """Seconds and records shuffled by phase, and in total (phase null); seconds cover computing and storing a phase."""
+    rows = ledger.phase_stats(tables.wide(spark, folder), shaped(S8)[1])
+    rows = [(r[0], r[1], r[4], r[12], r[13]) for r in rows]
+    return spark.createDataFrame([*rows, (None, *(sum(r[k] for r in rows) for k in range(1, 5)))], "phase int, input_rows bigint, output_rows bigint, shuffle_records bigint, seconds double")
+
+
+@register("s8_premerged_records")
+def s8_premerged_records(spark, folder):
+    """What pre-merging and the combiners of heavy phases leave of the records that each phase shuffles."""
+    rows, (_, grouping), out = tables.wide(spark, folder), shaped(S8), None
+    for name, options in (("plain", {}), ("premerge", {"premerge": True}), ("heavy", {"heavy": "all_parents"})):
+        part = ledger.phase_ledger(rows, grouping, **options).select(F.lit(name).alias("variant"), "phase", "input_rows", "shuffle_records")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+#: Number of groups, columns in or out of the last group, and large columns first instead of small ones.
+_CHOICES = {
+    "one group": "c_region>c_nation, o_orderpriority, c_mktsegment, p_brand, p_type, l_returnflag, l_linestatus",
+    "two groups": "c_region>c_nation, o_orderpriority, c_mktsegment | p_brand, p_type, l_returnflag, l_linestatus",
+    "three groups": S8,
+    "a group for each dimension": "c_region>c_nation | o_orderpriority | c_mktsegment | p_brand | p_type | l_returnflag | l_linestatus",
+    "large last group": "c_region>c_nation, o_orderpriority, c_mktsegment, p_brand | p_type | l_returnflag, l_linestatus",
+    "small last group": "c_region>c_nation | o_orderpriority, c_mktsegment, p_brand, p_type | l_returnflag, l_linestatus",
+    "large columns first": "l_returnflag, l_linestatus | p_type, p_brand | c_mktsegment, o_orderpriority, c_region>c_nation",
+}
+_CHOICE_MEASURES = ("remote_msgs", "local_msgs", "locality", "messages_per_segment", "largest_local_share", "cube_rows")
+
 
+def _choices_sql() -> str:
+    picked = ", ".join(f"max(CASE WHEN measure = '{m}' THEN value END) AS {m}" for m in _CHOICE_MEASURES)
+    return " UNION ALL ".join(f"SELECT '{name}' AS grouping, {picked} FROM ({totals_sql(shape)})" for name, shape in _CHOICES.items())
 
-@register("grouping_choices")
+
+@register("grouping_choices", _choices_sql())
 def grouping_choices(spark, folder):
-    """Locality and balance of several groupings of the same columns: number of groups, their order, and the last group's size."""
+    """Locality and balance of several groupings of the columns of S8."""
+    rows, out = scratch.materialised(tables.wide(spark, folder), "wide"), []
+    for name, shape in _CHOICES.items():
+        t = ledger.totals(ledger.phase_stats(rows, shaped(shape)[1], kernel="direct"))
+        out.append((name, *(None if t[m] is None else float(t[m]) for m in _CHOICE_MEASURES)))
+    return spark.createDataFrame(out, "grouping string, " + ", ".join(f"{m} double" for m in _CHOICE_MEASURES))
+
+
+#: Sixteenths of the orders.
+_PARTS = (1, 4, 16)
+
+
+@register(
+    "cube_scaling",
+    f"WITH {WIDE_SQL} " + " UNION ALL ".join(
+        f"SELECT CAST({k} AS INTEGER) AS sixteenths, (SELECT count(*) FROM wide WHERE l_orderkey % 16 < {k}) AS input_rows, count(*) AS cube_rows, CAST(count(*) AS DOUBLE) / (SELECT count(*) FROM wide WHERE l_orderkey % 16 < {k}) AS blow_up "
+        f"FROM ({cube_select(shaped(S5)[0], 'wide', {}, where=f'l_orderkey % 16 < {k}')})" for k in _PARTS
+    ),
+)
+def cube_scaling(spark, folder):
+    """How the cube grows with its input, for parts of the orders; the last is the whole table."""
     rows, out = tables.wide(spark, folder), []
-    choices = [
-        ("three entities", "c_region, c_mktsegment | p_brand, p_type | l_returnflag, l_linestatus"), ("two groups", "c_region, c_mktsegment | p_brand, p_type, l_returnflag, l_linestatus"),
-        ("large last group", "c_region, c_mktsegment, p_brand | p_type | l_returnflag, l_linestatus"), ("small last group", "c_region | c_mktsegment, p_brand, p_type | l_returnflag, l_linestatus"),
-        ("large values first", "l_returnflag, l_linestatus | c_region, c_mktsegment | p_type, p_brand"),
-    ]
-    for name, shape in choices:
-        t = ledger.totals(ledger.phase_stats(rows, shaped(shape)[1]))
-        out.append((name, t["remote_msgs"], t["local_msgs"], t["locality"], t["messages_per_segment"], t["largest_local_share"], t["cube_rows"]))
-    return spark.createDataFrame(out, "grouping string, remote_msgs bigint, local_msgs bigint, locality double, messages_per_segment double, largest_local_share double, cube_rows bigint")
-
-
-def _messages_sql() -> str:
-    schema, grouping, ctes = _phase_sql(S8)
+    for k in _PARTS:
+        t = ledger.totals(ledger.phase_stats(rows.filter(F.col("l_orderkey") % 16 < k), shaped(S5)[1]))
+        out.append((k, t["input_rows"], t["cube_rows"], t["blow_up"]))
+    return spark.createDataFrame(out, "sixteenths int, input_rows bigint, cube_rows bigint, blow_up double")
+
+
+@register("cube_bytes")
+def cube_bytes(spark, folder):
+    """Rows and stored bytes of the joined input and of its cube."""
+    schema, grouping = shaped(S5)
+    out = []
+    for name, df in (("input", tables.wide(spark, folder).select(*schema.columns, "qty", "cents")), ("cube", grouped_states(tables.wide(spark, folder), grouping))):
+        path = scratch.new_folder(spark, name)
+        df.write.parquet(path)
+        out.append((name, *ledger.sizes(path, spark)))
+    return spark.createDataFrame(out, "what string, rows bigint, bytes bigint")
+
+
+#: Batch areas take cuboids whose largest key has at most this share of the rows.
+_AREA_SHARE = 10
+
+
+def _area_count_sql(shape: str) -> str:
+    """The number of areas by the same greedy choice, on exact loads: lists of masks in a recursive query."""
+    schema, _ = shaped(shape)
+    masks = "[" + ", ".join(map(str, S.legal_masks(schema))) + "]"
+    inside = "list_filter({0}, lambda x: (x & ~{1}) = 0)"
+    best = f"list_max(list_transform(fits, lambda f: len({inside.format('left_over', 'f')}) * 1000000 + f))"
+    return (
+        f"loads AS (SELECT star_mask, max(n) AS load FROM ({cube_select(schema, 'wide', _COUNT_SQL)}) GROUP BY 1), "
+        f"fitting AS (SELECT list_filter({masks}, lambda m: m = 0 OR list_contains(list(star_mask) FILTER (WHERE load * {_AREA_SHARE} <= (SELECT count(*) FROM wide)), m)) AS fits FROM loads), "
+        f"areas AS (SELECT fits, fits AS left_over, 0 AS n FROM fitting UNION ALL SELECT fits, list_filter(left_over, lambda x: (x & ~({best} % 1000000)) <> 0), n + 1 FROM areas WHERE len(left_over) > 0)"
+    )
+
+
+def _messages_sql(shape: str) -> str:
+    schema, grouping, ctes = _phase_sql(shape)
     last = len(grouping.groups)
     remote = " + ".join(["(SELECT count(*) FROM wide)", *(f"(SELECT count(*) FROM o{p})" for p in grouping.phases if p < last)])
     local = " + ".join(f"(SELECT sum(msgs) FROM k{p})" for p in grouping.phases)
     raw = "(SELECT count(*) FROM wide)"
     chain = f"(SELECT sum({_parents_case(schema, schema.columns)}) FROM o{last})"
     return (
-        f"{ctes} SELECT 'grouped' AS method, {big(remote)} AS remote_msgs, {big(local)} AS local_msgs UNION ALL SELECT 'layered', {big(f'{raw} + {chain}')}, CAST(0 AS BIGINT) "
-        f"UNION ALL SELECT 'broadcast', {big(f'{raw} * {len(S.legal_masks(schema)) - 1}')}, CAST(0 AS BIGINT) UNION ALL SELECT 'batch_area', {big(f'{raw} * 6')}, NULL"
+        f"{ctes.replace('WITH ', 'WITH RECURSIVE ', 1)}, {_area_count_sql(shape)} SELECT 'grouped' AS method, {big(remote)} AS remote_msgs, {big(local)} AS local_msgs UNION ALL SELECT 'layered', {big(f'{raw} + {chain}')}, CAST(0 AS BIGINT) "
+        f"UNION ALL SELECT 'broadcast', {big(f'{raw} * {len(S.legal_masks(schema)) - 1}')}, CAST(0 AS BIGINT) UNION ALL SELECT 'batch_area', {big(f'{raw} * (SELECT max(n) FROM areas)')}, NULL"
     )
 
 
-@register("method_messages", _messages_sql())
-def method_messages(spark, folder):
-    """Messages of all methods on S8 (batched areas: with six areas)."""
-    return ledger.method_messages(spark, tables.wide(spark, folder), shaped(S8)[1], 6)
+def _messages(shape: str) -> Query:
+    """Messages of all methods; batched areas by their plan on exact loads."""
+
+    def run(spark, folder):
+        rows, (schema, grouping) = tables.wide(spark, folder), shaped(shape)
+        load = batch_area.estimate_load(rows, schema, 1.0)
+        areas = batch_area.plan_batch_areas(schema, load, load.get(max(S.legal_masks(schema)), 0) // _AREA_SHARE)
+        return ledger.method_messages(spark, rows, grouping, len(areas))
+
+    return run
+
+
+QUERIES["method_messages"], ORACLE_SQL["method_messages"] = _messages(S8), _messages_sql(S8)
+QUERIES["method_messages_s5"], ORACLE_SQL["method_messages_s5"] = _messages(S5), _messages_sql(S5)
 
 
 _SHARE = "SELECT {0} AS sharding, CAST(count(*) AS BIGINT) AS keys, CAST(max(n) AS BIGINT) AS max_rows, CAST(sum(n) AS BIGINT) AS rows, CAST(max(n) AS DOUBLE) / CAST(sum(n) AS DOUBLE) AS share FROM (SELECT count(*) AS n FROM wide GROUP BY {1})"
@@ -281,14 +432,24 @@ def max_key_load(spark, folder):
     return ledger.phase_ledger(tables.wide(spark, folder), shaped(S8)[1]).select("phase", F.col("max_nodes_per_key").alias("max_nodes"), F.col("max_local_per_key").alias("max_local"))
 
 
-@register("machine_balance")
+_SHARDINGS = {"supplier": ["hot_supp"], "supplier and part": ["hot_supp", "l_returnflag", "hot_part", "p_type"]}
+_MACHINES = 100
+
+
+def _machines_sql(name: str, columns: list[str]) -> str:
+    text = " || '|' || ".join(f"CAST({c} AS VARCHAR)" for c in columns)
+    dealt = f"SELECT ('0x' || substr(md5({text}), 1, 8))::BIGINT % {_MACHINES} AS machine, count(*) AS work FROM wide GROUP BY 1"
+    return f"SELECT '{name}' AS sharding, {big('max(work)')} AS max_work, {big('sum(work)')} AS all_work, CAST(max(work) AS DOUBLE) * {_MACHINES} / CAST(sum(work) AS DOUBLE) AS max_over_mean FROM ({dealt})"
+
+
+@register("machine_balance", f"WITH {WIDE_SQL} " + " UNION ALL ".join(_machines_sql(n, c) for n, c in _SHARDINGS.items()))
 def machine_balance(spark, folder):
     """Work of the busiest of 100 machines over the mean: sharding by one hot column and by two groups."""
     rows = tables.skewed(tables.wide(spark, folder))
     out = None
-    for name, columns in (("supplier", ["hot_supp"]), ("supplier and part", ["hot_supp", "l_returnflag", "hot_part", "p_type"])):
+    for name, columns in _SHARDINGS.items():
         loads = rows.groupBy(*columns).agg(F.count(F.lit(1)).alias("work"))
-        part = balance.machine_balance(loads, columns, "work", 100).withColumn("sharding", F.lit(name))
+        part = balance.machine_balance(loads, columns, "work", _MACHINES).withColumn("sharding", F.lit(name))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -344,10 +505,26 @@ def change_relative(spark, folder):
     return _change(spark, folder)[1].filter((F.col("before") >= SIGNIFICANT) & (F.abs("relative_change") >= 0.5))
 
 
-_S14_CHANGE_SQL = f"SELECT *, after - before AS change, CAST(after - before AS DOUBLE) / nullif(CAST(abs(before) AS DOUBLE), 0) AS relative_change FROM ({cube_sql(S14, values=_CHANGE_VALUES, where='ship_year IN (1996, 1997)')})"
+def _cube_in_parts(schema: CubeSchema, source: str, values: dict[str, str], having: str, fixed: int) -> str:
+    """The cube by sending rows to cuboids, one query for each choice of levels of the first ``fixed`` dimensions, so that DuckDB never holds all of it."""
+    right = CubeSchema(schema.dims[fixed:], schema.measures)
+    masks = f"unnest([{', '.join(map(str, S.legal_masks(right)))}]) AS m(m)"
+    free = ", ".join(f"CASE WHEN m & {right.bit(c)} = 0 THEN {c} END AS {c}" for c in right.columns)
+    chosen = ", ".join(f"{sql} AS {name}" for name, sql in values.items())
+    parts = []
+    for kept in product(*(range(len(d.columns), -1, -1) for d in schema.dims[:fixed])):
+        starred = [c for d, k in zip(schema.dims, kept, strict=False) for c in d.columns[k:]]
+        columns = ", ".join(f"NULL AS {c}" if c in starred else c for d in schema.dims[:fixed] for c in d.columns)
+        sent = f"SELECT {columns}, {free}, {big(f'{schema.bits(starred)} + m')} AS star_mask, ship_year, cents FROM {source}, {masks}"
+        parts.append(f"SELECT {', '.join(schema.columns)}, star_mask, {chosen} FROM ({sent}) GROUP BY ALL HAVING {having}")
+    return " UNION ALL ".join(parts)
+
+
+_S14_PARTS = _cube_in_parts(shaped(S14)[0], "two_years", _CHANGE_VALUES, f"abs(sum(CASE WHEN ship_year = 1997 THEN cents ELSE -cents END)) >= {SIGNIFICANT}", 5)
+_S14_CHANGE_SQL = f"WITH {WIDE_SQL}, two_years AS MATERIALIZED (SELECT * FROM wide WHERE ship_year IN (1996, 1997)) SELECT *, after - before AS change, CAST(after - before AS DOUBLE) / nullif(CAST(abs(before) AS DOUBLE), 0) AS relative_change FROM ({_S14_PARTS})"
 
 
-@register("s14_change_significant", f"SELECT * FROM ({_S14_CHANGE_SQL}) WHERE abs(change) >= {SIGNIFICANT}")
+@register("s14_change_significant", _S14_CHANGE_SQL)
 def s14_change_significant(spark, folder):
     """The full shape, 11 dimensions in 14 columns and 6,912 cuboids: as :func:`change_significant`, whole before the filter."""
     return _change(spark, folder, S14, F.abs("change") >= SIGNIFICANT)[1]
@@ -378,10 +555,6 @@ _EVENT_VALUES = {
     "n": big("count(*)"), "sum_cents": big("sum(cents)"), "avg_cents": "CAST(sum(cents) AS DOUBLE) / CAST(count(cents) AS DOUBLE)",
     "std_cents": "sqrt(CAST(count(cents) * sum(CAST(cents AS HUGEINT) * cents) - sum(cents) * sum(cents) AS DOUBLE) / (CAST(count(cents) AS DOUBLE) * CAST(count(cents) AS DOUBLE)))",
 }
-_COUNT = (M.count("n"),)
-_COUNT_SQL = {"n": big("count(*)")}
-
-
 def _cube_of(source: Callable[[SparkSession, str], DataFrame], shape: str, measures) -> Query:
     return lambda spark, folder: grouped_cube(source(spark, folder), shaped(shape, measures)[1])
 
@@ -675,7 +848,7 @@ def stream_complete(spark, folder):
     """One stateful aggregate over all cuboids of the stream."""
     schema, _ = shaped("event_type | hour", _COUNT)
     states = cubes.continuous_states(_event_stream(spark, folder), schema)
-    return S.finalise(cubes.drain(states, "stream_complete", "complete"), schema)
+    return S.finalise(cubes.drain(states, "complete"), schema)
 
 
 @register("stream_watermark")
@@ -683,7 +856,7 @@ def stream_watermark(spark, folder):
     """A cube per day, given out when the watermark has passed it (the last days stay open)."""
     schema, _ = shaped("event_type | hour", _COUNT)
     states = cubes.continuous_states(_event_stream(spark, folder), schema, time="ts", window="1 day")
-    return cubes.drain(states, "stream_watermark")
+    return cubes.drain(states)
 
 
 @register("stream_session")
@@ -691,4 +864,4 @@ def stream_session(spark, folder):
     """Sessions of a user's events, closed after two idle hours."""
     timed = _event_stream(spark, folder).withColumn("time", F.col("ts").cast("timestamp")).withWatermark("time", "1 hour")
     sessions = timed.groupBy(F.session_window("time", "2 hours").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
-    return cubes.drain(sessions, "stream_session")
+    return cubes.drain(sessions)

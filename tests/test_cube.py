@@ -54,7 +54,7 @@ def test_worked_example_by_hand(spark):
 
 def methods():
     yield "grouped", lambda df, s, g: grouped_states(df, g)
-    for kernel in ("sweep", "union", "arrow"):
+    for kernel in ("sweep", "direct", "union", "arrow"):
         yield kernel, lambda df, s, g, k=kernel: grouped_states(df, g, kernel=k)
     for heavy in ("last_parent", "all_parents"):
         yield heavy, lambda df, s, g, h=heavy: grouped_states(df, g, heavy=h)
@@ -170,7 +170,7 @@ def test_ledger_gives_the_known_numbers(spark):
 
 def test_arithmetic_of_the_published_run():
     phases = [(1, 24.9, 24.9, 24.9, 1.8, 4.5), (2, 1.8, 1.8, 1.8, 5.3, 8.0), (3, 5.3, 5.3, 5.3, 35.0, 45.6)]
-    rows = [(*p, p[4] / p[1], p[5] / p[2], 0, 0, 0, 0, 0) for p in phases]
+    rows = [(*p, p[4] / p[1], p[5] / p[2], 0, 0, 0, 0, 0, 0) for p in phases]
     t = ledger.totals(rows)
     assert round(t["remote_msgs_after_first"], 1) == 7.1 and round(t["locality"], 2) == 0.89 and t["messages_per_segment"] < 3
     assert [round(r[6], 1) for r in rows[1:]] == [2.9, 6.6] and [round(r[7], 1) for r in rows[1:]] == [4.4, 8.6]
@@ -201,25 +201,41 @@ def test_a_filter_prunes_nothing_inside(spark):
     assert cube_rows(kept, schema) == [r for r in plain_cube(ROWS, schema) if int(r.rsplit(", ", 1)[1][:-1]) >= 7]
 
 
-def test_single_group_is_refused_for_large_inputs(spark, monkeypatch):
+def test_heavy_phases_are_one_exchange_and_one_group_is_no_single_task(spark):
+    rows = scratch.materialised(tables.wide(spark, SF), "wide")
+    schema, grouping = W.shaped(W.S5)
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    for heavy in ("last_parent", "all_parents"):
+        assert len(re.findall(r"\bExchange\b", plan(grouped_cube(rows, grouping, heavy=heavy)))) == 2
+    for heavy in (None, "all_parents"):
+        assert "SinglePartition" not in plan(grouped_cube(rows, Grouping.by_sizes(schema, (5,)), heavy=heavy))
+
+
+def test_combiners_add_up_in_tasks(spark, monkeypatch):
     from segcube.operators import grouped_phases
 
-    df, schema, _ = example(spark)
-    monkeypatch.setattr(grouped_phases, "SINGLE_TASK_ROWS", 3)
-    with pytest.raises(ValueError, match="single group"):
-        grouped_cube(df, Grouping.by_sizes(schema, (4,)))
+    schema, grouping = CubeSchema.parse("a | b>c", (M.count("n"), M.least("v"), M.mean("v")))
+    df = spark.range(1000, numPartitions=2).select((F.col("id") % 3).alias("a"), F.lit(None).cast("string").alias("b"), (F.col("id") % 5).cast("string").alias("c"), F.col("id").alias("v"))
+    for limit in (500_000, 7):
+        monkeypatch.setattr(grouped_phases, "COMBINE_ROWS", limit)
+        combined = grouped_phases.combined_in_tasks(S.lift(df, schema), schema)
+        assert combined.count() == (30 if limit > 7 else combined.count()) and combined.agg(F.sum("n")).first()[0] == 1000
+        assert cube_rows(grouped_cube(df, grouping, heavy="last_parent"), schema) == cube_rows(grouped_cube(df, grouping), schema)
 
 
 def test_batch_areas_are_valid_and_split_what_does_not_fit():
     schema, _ = CubeSchema.parse("a>b, c, d", (M.count(),))
     load = {m: 10 ** S.stars(m) for m in S.legal_masks(schema)}
     areas = batch_area.plan_batch_areas(schema, load, 100)
-    covered = [m for a in areas for m in a.masks]
-    assert sorted(covered) == S.legal_masks(schema)
+    assert sorted(m for a in areas for m in (*a.masks, *a.partitioned)) == S.legal_masks(schema)
+    concrete = lambda m: {c for c in schema.columns if not m & schema.bit(c)}
     for a in areas:
-        shard = set(a.shard) - {a.split_by}
-        assert all(shard <= {c for c in schema.columns if not m & schema.bit(c)} for m in a.masks)
-    assert any(a.split_by for a in areas) and not any(a.split_by for a in batch_area.plan_batch_areas(schema, load, 10**6))
+        assert all(set(a.shard) <= concrete(m) and load[m] <= 100 for m in a.masks)
+        # the parts of a split cuboid are keys of a finer cuboid of its area, which fits
+        assert all(load[m] > 100 and any(concrete(m) < concrete(n) for n in a.masks) for m in a.partitioned)
+    assert any(a.partitioned for a in areas) and not any(a.partitioned for a in batch_area.plan_batch_areas(schema, load, 10**6))
+    big = {m: 1 if not m & schema.bits(("a", "b")) else 1000 for m in S.legal_masks(schema)}  # only a>b splits anything
+    assert {a.shard for a in batch_area.plan_batch_areas(schema, big, 10)} == {("a", "b")}
 
 
 def test_merge_subtract_and_compare(spark):
@@ -272,7 +288,7 @@ def test_late_rows_are_dropped_only_behind_the_watermark(spark, tmp_path):
     for i, rows in enumerate([[("2024-01-01 10:00:00", "a")], [("2024-01-03 10:00:00", "a")], [("2024-01-03 09:00:00", "b")], [("2024-01-01 11:00:00", "late")], [("2024-01-06 00:00:00", "z")], [("2024-01-06 00:00:01", "z")]]):
         spark.createDataFrame(rows, "t string, k string").select(F.to_timestamp("t").alias("ts"), "k").coalesce(1).write.parquet(str(tmp_path / f"in/b{i}"))
     stream = tables.read_stream(spark, str(tmp_path / "in/*"), "ts timestamp, k string", 1)
-    got = cubes.drain(cubes.continuous_states(stream, schema, time="ts", window="1 day"), "late_test").collect()
+    got = cubes.drain(cubes.continuous_states(stream, schema, time="ts", window="1 day")).collect()
     keys = {r.k for r in got}
     assert "late" not in keys and {"a", "b"} <= keys
 
