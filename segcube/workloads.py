@@ -15,7 +15,6 @@ from segcube.operators import batch_area, broadcast, layered_chain, query
 from segcube.operators.grouped_phases import grouped_cube, grouped_states, phase_deltas
 from segcube.plans import advisor, balance, ledger
 from segcube.sources import scratch, tables
-from segcube.streaming import cubes
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -822,46 +821,3 @@ def _joined(hint: str) -> Query:
 for _hint in ("merge", "shuffle_hash", "broadcast"):
     QUERIES[f"wide_{_hint}_join"] = _joined(_hint)
     ORACLE_SQL[f"wide_{_hint}_join"] = f"WITH {WIDE_SQL} SELECT o_orderpriority, {big('count(*)')} AS n, {big('sum(cents)')} AS sum_cents FROM wide GROUP BY 1"
-
-
-# streams
-
-
-def _event_stream(spark, folder):
-    path = f"{folder}/events.parquet"
-    shape = spark.read.parquet(path).schema
-    return _event_columns(spark.readStream.schema(shape).option("pathGlobFilter", "events.parquet").parquet(folder))
-
-
-@register("stream_micro_batch", cube_sql(_EVENTS, EVENTS_SQL, {"n": big("count(*)"), "sum_cents": big("sum(cents)")}))
-def stream_micro_batch(spark, folder):
-    """Each micro-batch is cubed by the grouped method and stored; the stored cubes add up to that of all events."""
-    schema, grouping = shaped(_EVENTS, (M.count("n"), M.total("cents")))
-    target = scratch.new_folder(spark, "stream")
-    run = _event_stream(spark, folder).writeStream.foreachBatch(cubes.batch_sink(target, grouping)).option("checkpointLocation", scratch.new_folder(spark, "offsets")).trigger(availableNow=True).start()
-    run.awaitTermination()
-    return S.finalise(cubes.stored_states(spark, target, schema), schema)
-
-
-@register("stream_complete", cube_sql("event_type | hour", EVENTS_SQL, _COUNT_SQL))
-def stream_complete(spark, folder):
-    """One stateful aggregate over all cuboids of the stream."""
-    schema, _ = shaped("event_type | hour", _COUNT)
-    states = cubes.continuous_states(_event_stream(spark, folder), schema)
-    return S.finalise(cubes.drain(states, "complete"), schema)
-
-
-@register("stream_watermark")
-def stream_watermark(spark, folder):
-    """A cube per day, given out when the watermark has passed it (the last days stay open)."""
-    schema, _ = shaped("event_type | hour", _COUNT)
-    states = cubes.continuous_states(_event_stream(spark, folder), schema, time="ts", window="1 day")
-    return cubes.drain(states)
-
-
-@register("stream_session")
-def stream_session(spark, folder):
-    """Sessions of a user's events, closed after two idle hours."""
-    timed = _event_stream(spark, folder).withColumn("time", F.col("ts").cast("timestamp")).withWatermark("time", "1 hour")
-    sessions = timed.groupBy(F.session_window("time", "2 hours").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
-    return cubes.drain(sessions)

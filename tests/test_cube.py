@@ -319,6 +319,27 @@ def test_the_skewed_cube_is_given_whole(spark):
     assert sorted(map(repr, whole.filter("n >= 20").collect())) == sorted(map(repr, W.QUERIES["skewed_cube"](spark, SF).collect()))
 
 
+def test_segments_of_a_row_in_sql(spark):
+    from segcube.functions import sql
+
+    df, schema, _ = example(spark, ROWS[:1])
+    sql.register_segments_of(spark, df, schema, "segments_of_row")
+    sql.register_star_layer(spark)
+    df.createOrReplaceTempView("one_row")
+    got = spark.sql("SELECT s.*, star_layer(s.star_mask) AS stars FROM one_row r, LATERAL segments_of_row(r.land, r.town, r.kind, r.shop) s").collect()
+    assert sorted(r[MASK] for r in got) == S.legal_masks(schema) and all(r.stars == S.stars(r[MASK]) for r in got)
+    assert all((r[c] is None) == bool(r[MASK] & schema.bit(c)) for r in got for c in schema.columns)
+
+
+def test_entities_form_groups(spark):
+    schema, _ = CubeSchema.parse("flag, region>nation, brand", (M.count(),))
+    entity = {"flag": "line", "region": "user", "brand": "part"}
+    grouping = Grouping.by_entity(schema, entity, ["user", "part", "line"])
+    assert grouping.groups == (("region", "nation"), ("brand",), ("flag",))
+    with pytest.raises(ValueError, match="brand"):
+        Grouping.by_entity(schema, {"flag": "line", "region": "user"}, ["user", "line"])
+
+
 def test_every_registered_query_has_a_name_and_a_plan(spark):
     import __spark_entry__ as entry
 
