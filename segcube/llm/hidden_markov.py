@@ -42,7 +42,7 @@ SEEDS = 256
 BACKGROUND = 0.02
 #: Expected counts are summed as multiples of one over this, so that sums do not depend on their order.
 UNIT = 1 << 16
-_STEP_TOKENS = 500_000
+_STEP_TOKENS = 300_000
 _RARE_ROWS = 500_000
 _CHUNK = 1024
 #: The end of a text as a token.
