@@ -105,6 +105,8 @@ class Writer:
             self.restarts.append(len(self.block))
         head = bytearray()
         put_varint(head, self.tokens)
+        if len(ids) and int(ids.max()) >= 1 << (8 * self.width):
+            raise ValueError(f"an id of {int(ids.max())} does not fit {self.width} bytes")
         body = ids.astype("<u2" if self.width == 2 else "<u4").tobytes()
         put_varint(self.block, share)
         put_varint(self.block, len(key) - share)
@@ -293,6 +295,10 @@ def read_shards(manifest: DataFrame) -> DataFrame:
     return placed.repartition(parts, "path").mapInArrow(read, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
 
 
+#: Shards whose ranges a lookup sends to all workers at most; more are met by a join.
+BROADCAST_SHARDS = 100_000
+
+
 def lookup(manifest: DataFrame, wanted: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """The ids of the documents asked for: shards are pruned by their range, then by filter, index and restarts."""
 
@@ -311,5 +317,13 @@ def lookup(manifest: DataFrame, wanted: DataFrame, id_col: str = "doc_id") -> Da
 
     ids = wanted.select(F.col(id_col).cast("bigint").alias("doc_id")).distinct()
     in_range = (F.col("doc_id") >= F.coalesce("first_id", "doc_id")) & (F.col("doc_id") <= F.col("last_id"))
-    pairs = ids.join(F.broadcast(manifest.select("path", "first_id", "last_id")), in_range)  # a row per shard: checked small
+    shards = manifest.select("path", "first_id", "last_id")
+    size = shards.agg(F.count(F.lit(1)).alias("n"), F.min("first_id").alias("low"), F.max("last_id").alias("high")).first()
+    if size.n <= BROADCAST_SHARDS or size.low is None:
+        pairs = ids.join(F.broadcast(shards), in_range)
+    else:  # by equal cells of the id range; a shard is in the cells it meets, about two on average
+        width = (size.high - size.low) // size.n + 1
+        cell = lambda c: F.floor((c - size.low) / width)
+        cells = F.sequence(cell(F.coalesce("first_id", F.lit(size.low))), cell(F.col("last_id")))
+        pairs = ids.withColumn("cell", cell(F.col("doc_id"))).join(shards.withColumn("cell", F.explode(cells)), "cell").filter(in_range)
     return pairs.sortWithinPartitions("path").select("path", "doc_id").mapInArrow(find, "doc_id bigint, ids array<bigint>")

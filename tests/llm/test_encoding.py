@@ -44,7 +44,7 @@ def stored(spark, docs):
 
 
 @pytest.mark.parametrize("which", ["awkward", "sf"])
-def test_shards_hold_every_document_in_order(spark, which):
+def test_shards_hold_every_document_in_order(spark, monkeypatch, which):
     docs = X.awkward_documents(spark)[0] if which == "awkward" else X.documents(spark)
     manifest, got = stored(spark, docs)
     want = expected_tokens(X.rows_of(docs), "word_bpe_49k.json", 1)
@@ -55,8 +55,10 @@ def test_shards_hold_every_document_in_order(spark, which):
         at += n
     assert X.multiset((d, len(i), zlib.crc32(i.tobytes())) for d, _, i in want) == X.multiset((r[0], r[2], r[3]) for r in got)
     ids = [1, 5, 6, 10**9, -4]
-    found = sstable.lookup(manifest, spark.createDataFrame([(i,) for i in ids], "doc_id bigint")).collect()
-    assert X.multiset((r.doc_id, tuple(r.ids)) for r in found) == X.multiset((d, tuple(i.tolist())) for d, _, i in want if d in ids)
+    for limit in (sstable.BROADCAST_SHARDS, 0):
+        monkeypatch.setattr(sstable, "BROADCAST_SHARDS", limit)
+        found = sstable.lookup(manifest, spark.createDataFrame([(i,) for i in ids], "doc_id bigint")).collect()
+        assert X.multiset((r.doc_id, tuple(r.ids)) for r in found) == X.multiset((d, tuple(i.tolist())) for d, _, i in want if d in ids)
 
 
 def test_no_documents_no_shards(spark):
@@ -74,6 +76,8 @@ def test_single_lookups_filter_and_damage(tmp_path):
     writer.close()
     reader = sstable.Reader(path)
     assert len(reader.places) > 20
+    with pytest.raises(ValueError, match="does not fit"):
+        sstable.Writer(str(tmp_path / "b" / "x.sst")).add(sstable.key_of(1), np.array([5, 1 << 16], dtype=np.uint32))
     for i, ids in docs.items():
         assert [x.tolist() for x in reader.get(i)] == [ids.tolist()]
     absent = [i for i in range(20_000, 24_000)]
