@@ -1,7 +1,7 @@
-"""The grouped method: one shuffle per group of columns, then star by star inside the partition.
+"""The grouped method: one shuffle per group of columns, then all stars of the group inside the partition.
 
 Phase ``i`` clusters its input by the columns of all other groups; all segments that differ only in group ``i`` are then in
-one task, and every layer of stars is an aggregation without an exchange: hash partitioning by a subset of the grouping columns
+one task, and every local step (kernel ``layers``: star by star from primary children; ``direct``: all stars at once) is an aggregation without an exchange: hash partitioning by a subset of the grouping columns
 satisfies it, and ``inline`` keeps that partitioning (``Expand`` would not).  The mask is a grouping column but never a
 clustering column.  Rows of finished layers are carried through the later aggregates, so the plan stays linear.
 
@@ -22,6 +22,8 @@ from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema, Grouping
 from segcube.sources import scratch
 
+#: Cuboids of a group up to which its rows are sent to all of them at once.
+MAX_DIRECT = 64
 #: Rows that a task's combiner holds at most before it adds them up.
 COMBINE_ROWS = 500_000
 
@@ -71,7 +73,8 @@ def _sweep(df, schema, group, guard, also=()):
 def _direct(df, schema, group, guard):
     """Every merged row sends itself to all its segments of the group at once, and one aggregate adds them up.
 
-    More messages than by primary children, but each row is hashed once and not once per layer: for groups of few cuboids.
+    More copy-adds inside the task than by primary children (one for each cuboid of the group and row), but each row is hashed once and not again in
+    every layer it is carried through, which is what counts in Spark.
     """
     parts = schema.dims_of(group)
     ready = []
@@ -132,9 +135,19 @@ def _arrow(df, schema, group, guard, others):
 KERNELS = {"layers": _layered, "sweep": _sweep, "direct": _direct, "union": _union}
 
 
-def materialise_locally(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "layers") -> DataFrame:
+def kernel_for(schema: CubeSchema, group) -> str:
+    """``direct`` while the group has few cuboids, which its columns alone decide; else ``layers``, whose plan grows with the columns only."""
+    cuboids = 1
+    for part in schema.dims_of(group):
+        cuboids *= len(part) + 1
+    return "direct" if cuboids <= MAX_DIRECT else "layers"
+
+
+def materialise_locally(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "auto") -> DataFrame:
     """Merge equal vectors of the group, then all its stars, without an exchange (but for a single group)."""
     schema, group = grouping.schema, grouping.group(phase)
+    if kernel == "auto":
+        kernel = kernel_for(schema, group) if grouping.others(phase) else "layers"
     if kernel == "arrow":
         return _arrow(df, schema, group, grouping.guard, grouping.others(phase))
     return KERNELS[kernel](S.merge(df, schema), schema, group, grouping.guard)
@@ -200,7 +213,7 @@ def _after_precombining(df: DataFrame, grouping: Grouping, phase: int, heavy: st
     return df
 
 
-def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "layers", heavy: str | None = None, routed: Observation | None = None) -> DataFrame:
+def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "auto", heavy: str | None = None, routed: Observation | None = None) -> DataFrame:
     """``routed`` observes ``n``, the rows that go into the phase's shuffle."""
     if heavy:
         df = precombine(df, grouping, phase, heavy)
@@ -211,7 +224,7 @@ def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "laye
 
 
 def phase_outputs(
-    df: DataFrame, grouping: Grouping, kernel: str = "layers", heavy: str | None = None, premerge: bool = False, store: bool = False, read: Observation | None = None, routed: dict[int, Observation] | None = None
+    df: DataFrame, grouping: Grouping, kernel: str = "auto", heavy: str | None = None, premerge: bool = False, store: bool = False, read: Observation | None = None, routed: dict[int, Observation] | None = None
 ) -> Iterator[DataFrame]:
     """The output of each phase in turn; with ``store`` each is written and read back, a point to restart from.
 

@@ -109,6 +109,7 @@ _METHODS: dict[str, tuple[str, Query]] = {
     "s5_grouped_premerge": (S5, _grouped(S5, premerge=True)),
     "s5_grouped_heavy_last": (S5, _grouped(S5, heavy="last_parent")),
     "s5_grouped_heavy_all": (S5, _grouped(S5, heavy="all_parents")),
+    "s5_kernel_layers": (S5, _grouped(S5, kernel="layers")),
     "s5_kernel_sweep": (S5, _grouped(S5, kernel="sweep")),
     "s5_kernel_direct": (S5, _grouped(S5, kernel="direct")),
     "s5_kernel_union": (S5, _grouped(S5, kernel="union")),
@@ -120,7 +121,7 @@ _METHODS: dict[str, tuple[str, Query]] = {
     "s5_gm": (S5, _grouped(S5, groups=(1, 1, 1, 1, 1), straddle="guard")),
     "s5_straddle_guard": (S5, _grouped(S5, groups=(2, 3), straddle="guard")),
     "s8_grouped": (S8, _grouped(S8)),
-    "s8_grouped_direct": (S8, _grouped(S8, kernel="direct")),
+    "s8_grouped_layers": (S8, _grouped(S8, kernel="layers")),
     "s8_batch_area": (S8, _other(S8, batch_area.batch_area_cube, max_load=20_000, fraction=0.2)),
     "s8_layered": (S8, _other(S8, layered_chain.layered_cube)),
     "s8_broadcast": (S8, _other(S8, broadcast.broadcast_cube)),
@@ -323,7 +324,7 @@ def grouping_choices(spark, folder):
     """Locality and balance of several groupings of the columns of S8."""
     rows, out = scratch.materialised(tables.wide(spark, folder), "wide"), []
     for name, shape in _CHOICES.items():
-        t = ledger.totals(ledger.phase_stats(rows, shaped(shape)[1], kernel="direct"))
+        t = ledger.totals(ledger.phase_stats(rows, shaped(shape)[1]))
         out.append((name, *(None if t[m] is None else float(t[m]) for m in _CHOICE_MEASURES)))
     return spark.createDataFrame(out, "grouping string, " + ", ".join(f"{m} double" for m in _CHOICE_MEASURES))
 

@@ -54,7 +54,7 @@ def test_worked_example_by_hand(spark):
 
 def methods():
     yield "grouped", lambda df, s, g: grouped_states(df, g)
-    for kernel in ("sweep", "direct", "union", "arrow"):
+    for kernel in ("layers", "sweep", "direct", "union", "arrow"):
         yield kernel, lambda df, s, g, k=kernel: grouped_states(df, g, kernel=k)
     for heavy in ("last_parent", "all_parents"):
         yield heavy, lambda df, s, g, h=heavy: grouped_states(df, g, heavy=h)
@@ -187,6 +187,8 @@ def test_a_phase_is_one_exchange(spark):
     rows = scratch.materialised(tables.wide(spark, SF), "wide")
     for shape, phases in ((W.S5, 2), ("c_region>c_nation, c_mktsegment | p_brand, p_type | l_returnflag, l_linestatus", 3)):
         schema, grouping = W.shaped(shape)
+        layers = grouped_cube(rows, grouping, kernel="layers")._jdf.queryExecution().executedPlan().toString()
+        assert len(re.findall(r"\bExchange\b", layers)) == phases
         plan = grouped_cube(rows, grouping)._jdf.queryExecution().executedPlan().toString()
         assert len(re.findall(r"\bExchange\b", plan)) == phases and "Expand" not in plan and "Python" not in plan
         read = re.search(r"ReadSchema: struct<([^>]*)", plan)[1]
