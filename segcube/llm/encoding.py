@@ -21,7 +21,7 @@ import pyarrow as pa
 from segcube.llm import kernel as K
 
 #: Pieces that a worker keeps; beyond them it starts anew, which costs time and changes no result.
-CACHE_PIECES = 1_500_000
+CACHE_PIECES = 1_000_000
 _TABLE_BITS = 22
 
 _W, _L, _D, _P, _O = range(5)

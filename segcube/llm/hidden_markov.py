@@ -197,6 +197,7 @@ def steps_of(batch: pa.RecordBatch) -> Iterator[tuple[pa.RecordBatch, np.ndarray
         part = batch.take(pa.array(order[at:end]))
         yield part, np.concatenate([_unpacked(x) for x in part.column("sequence").to_pylist()]), np.concatenate([[0], np.cumsum(size[order[at:end]])])
         at = end
+    K.release()
 
 
 def segments(bounds: np.ndarray) -> np.ndarray:

@@ -10,6 +10,7 @@ Edge cases: a null text counts as empty; empty texts have no words; a text of an
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,8 +38,21 @@ NONSPACE = np.ones(256, dtype=bool)
 NONSPACE[[9, 10, 11, 12, 13, 32]] = False
 
 
+try:
+    _trim = ctypes.CDLL(None).malloc_trim
+except (OSError, AttributeError):  # another C library
+    _trim = None
+
+
+def release() -> None:
+    """Give freed memory back to the system, as Spark keeps its workers for later tasks."""
+    pa.default_memory_pool().release_unused()
+    if _trim is not None:
+        _trim(0)
+
+
 def steps(batch: pa.RecordBatch, column: str, limit: int = STEP_BYTES) -> Iterator[pa.RecordBatch]:
-    """Slices of ``batch`` whose texts hold about ``limit`` bytes at most, or a single longer text."""
+    """Slices of ``batch`` whose texts hold about ``limit`` bytes at most, or a single longer text; frees memory behind the last."""
     if not batch.num_rows:
         return
     _, offsets = text_bytes(batch.column(column))
@@ -48,6 +62,7 @@ def steps(batch: pa.RecordBatch, column: str, limit: int = STEP_BYTES) -> Iterat
         end = min(max(end, at + 1), batch.num_rows)
         yield batch.slice(at, end - at)
         at = end
+    release()
 
 
 def text_bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
