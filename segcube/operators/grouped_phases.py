@@ -28,10 +28,15 @@ MAX_DIRECT = 64
 COMBINE_ROWS = 500_000
 
 
-def cluster_by_other_groups(df: DataFrame, grouping: Grouping, phase: int) -> DataFrame:
-    """The phase's only shuffle: one message per row, routed by the other groups' values."""
+def cluster_by_other_groups(df: DataFrame, grouping: Grouping, phase: int, partitions: int | None = None) -> DataFrame:
+    """The phase's only shuffle: one message per row, routed by the other groups' values.
+
+    Adaptive execution sizes partitions by what goes into a phase; where much more comes out, ``partitions`` fixes a larger number.
+    """
     others = grouping.others(phase)
-    return df.repartition(*others) if others else df
+    if not others:
+        return df
+    return df.repartition(partitions, *others) if partitions else df.repartition(*others)
 
 
 def layer_step(df: DataFrame, schema: CubeSchema, group, k: int, also: tuple[str, ...] = (), guard: bool = False) -> DataFrame:
@@ -213,18 +218,19 @@ def _after_precombining(df: DataFrame, grouping: Grouping, phase: int, heavy: st
     return df
 
 
-def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "auto", heavy: str | None = None, routed: Observation | None = None) -> DataFrame:
+def run_phase(df: DataFrame, grouping: Grouping, phase: int, kernel: str = "auto", heavy: str | None = None, routed: Observation | None = None, partitions: int | None = None) -> DataFrame:
     """``routed`` observes ``n``, the rows that go into the phase's shuffle."""
     if heavy:
         df = precombine(df, grouping, phase, heavy)
     if routed is not None:
         df = df.observe(routed, F.count(F.lit(1)).alias("n"))
-    df = cluster_by_other_groups(df, grouping, phase)
+    df = cluster_by_other_groups(df, grouping, phase, partitions)
     return _after_precombining(df, grouping, phase, heavy) if heavy else materialise_locally(df, grouping, phase, kernel)
 
 
 def phase_outputs(
-    df: DataFrame, grouping: Grouping, kernel: str = "auto", heavy: str | None = None, premerge: bool = False, store: bool = False, read: Observation | None = None, routed: dict[int, Observation] | None = None
+    df: DataFrame, grouping: Grouping, kernel: str = "auto", heavy: str | None = None, premerge: bool = False, store: bool = False, read: Observation | None = None,
+    routed: dict[int, Observation] | None = None, partitions: int | None = None,
 ) -> Iterator[DataFrame]:
     """The output of each phase in turn; with ``store`` each is written and read back, a point to restart from.
 
@@ -237,7 +243,7 @@ def phase_outputs(
     if premerge:  # combines equal keys before the first shuffle by other groups
         now = S.merge(now, schema)
     for phase in grouping.phases:
-        now = run_phase(now, grouping, phase, kernel, heavy, (routed or {}).get(phase))
+        now = run_phase(now, grouping, phase, kernel, heavy, (routed or {}).get(phase), partitions)
         if store:
             now = scratch.materialised(now, f"phase-{phase}")
         yield now
