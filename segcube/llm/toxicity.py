@@ -289,6 +289,8 @@ def _labelled(docs: DataFrame, labels: DataFrame, held_out, id_col: str, text_co
         rows = [[[best[name][k] for name in names]] for k in range(3)]
         columns = [pa.array([shard], pa.int32()), pa.array(rows[0], pa.list_(pa.int64())), pa.array(rows[1], pa.list_(pa.binary())), pa.array(rows[2], pa.list_(pa.string())), pa.array([[toxic[name] for name in names]], pa.list_(pa.int32()))]
         made = pa.table(columns, names=["shard", "n", "ids", "lang", "toxic"])
+        del best, rows, columns
+        K.release()
         return made if names else made.slice(0, 0)
 
     shard = F.pmod(F.xxhash64("id", F.lit("shard")), F.lit(shards)).cast("int").alias("shard")
@@ -390,6 +392,8 @@ def _thresholds(packed: DataFrame, model: Model) -> dict[str, float]:
                 ids = texts[i]
                 bins[i] = np.floor(model.logits(ids, np.array([0, len(ids)]), tables)[0] * GRID)
             yield pa.RecordBatch.from_arrays([pa.array(languages, pa.string()), pa.array(bins), pa.array(labels)], names=["lang", "bin", "toxic"])
+        del tables
+        K.release()
 
     def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -432,6 +436,8 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", out: str = "sco
             for part in K.steps(batch, scored, 1 << 20):
                 scores = model.scores(part.column(scored), tables)
                 yield pa.RecordBatch.from_arrays([*part.columns[: len(keep)], pa.array(scores)], names=[*keep, out])
+        del tables
+        K.release()
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[: len(keep)]), f"{out} double"])
     return rows.mapInArrow(run, schema)
