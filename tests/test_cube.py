@@ -348,3 +348,33 @@ def test_every_registered_query_has_a_name_and_a_plan(spark):
     queries, sql = entry.queries(), entry.oracle_sql()
     assert set(sql) <= set(queries) and len(queries) > 80
     assert entry.entry(spark).limit(5).count() == 5
+
+
+def test_equal_leaves_are_added_up_before_they_are_sent(spark):
+    """Each method of broadcasting and the batch areas send a leaf segment once, however many rows it has."""
+    schema, _ = CubeSchema.parse("a | b", [M.count("n")])
+    rows = spark.range(1000).selectExpr("id % 2 as a", "id % 3 as b")
+    areas = batch_area.plan_batch_areas(schema, batch_area.estimate_load(rows, schema, 1.0), 1000)
+    assert batch_area.area_messages(rows, schema, areas).count() == 6 * len(areas)
+    assert batch_area.estimate_load(rows, schema, 1.0) == {0: 167, 1: 500, 2: 334, 3: 1000}
+    for style in ("explode", "grouping_sets", "cube"):
+        plan = broadcast.broadcast_cube(rows, schema, style)._jdf.queryExecution().optimizedPlan().toString()
+        assert plan.count("Aggregate") >= 2 and "transform(" not in plan
+        assert {(r.a, r.b, r.star_mask): r.n for r in broadcast.broadcast_cube(rows, schema, style).collect()}[None, None, 3] == 1000
+
+
+def test_messages_need_no_second_cube(spark):
+    """Loads of the batch plan come from the cube that is counted, not from sending all rows once more."""
+    schema, grouping = CubeSchema.parse("a | b", [M.count("n")])
+    seen = []
+    out = ledger.method_messages(spark, spark.range(60).selectExpr("id % 2 as a", "id % 3 as b"), grouping, lambda cube: seen.append(cube.count()) or 2)
+    assert {r.method: r.remote_msgs for r in out.collect()}["batch_area"] == 120 and seen == [12]
+
+
+def test_many_orders_are_not_broadcast(spark, monkeypatch):
+    folder = "/root/testdata/sf0.001"
+    hints = lambda join: tables.wide(spark, folder, join)._jdf.queryExecution().analyzed().toString().count("strategy=broadcast")
+    want = tables.wide(spark, folder).count()
+    assert hints("broadcast") == hints(None) + 1
+    monkeypatch.setattr(tables, "BROADCAST_ROWS", 100)
+    assert hints("broadcast") == hints(None) and tables.wide(spark, folder, "broadcast").count() == want
