@@ -35,6 +35,8 @@ TRAIN_WORDS, SHARD_TEXTS = 2_000_000, 256
 BLOCK, FAN_IN, GRID = 1024, 256, 64
 WORD_BITS, PART_BITS = 16, 15
 BUCKETS, DIM, FILTERS, WIDTHS = (1 << WORD_BITS) + 2 * (1 << PART_BITS), 12, 12, (1, 2, 3)
+#: Places whose responses are held at once.
+POOLED = 1 << 14
 EPOCHS, BATCH, RATE, DECAY = 6, 64, 0.01, 1e-5
 
 
@@ -68,31 +70,46 @@ class Model:
     intercept: float
     thresholds: dict[str, float] = field(default_factory=dict)
 
-    def tables(self) -> list[list[np.ndarray]]:
+    def tables(self) -> np.ndarray:
+        """By bucket the responses of all places of all filters, one row for each (the last for empty places)."""
         rows = np.vstack([self.embedding, np.zeros((1, DIM), dtype=np.float32)])
-        return [[rows @ f[j] for j in range(len(f))] for f in self.filters]
+        places = [f[j] for f in self.filters for j in range(len(f))]
+        out = np.empty((len(rows), FILTERS * len(places)), dtype=np.float32)
+        for k, f in enumerate(places):
+            out[:, k * FILTERS : (k + 1) * FILTERS] = rows @ f
+        return out
 
-    def pooled(self, ids: np.ndarray, bounds: np.ndarray, tables: list[list[np.ndarray]]) -> np.ndarray:
+    def pooled(self, ids: np.ndarray, bounds: np.ndarray, tables: np.ndarray) -> np.ndarray:
         """The largest response of each filter in each text, at least 0."""
         pad = max(WIDTHS) - 1
         out = np.zeros((len(bounds) - 1, len(self.bias)), dtype=np.float32)
         full = np.flatnonzero(np.diff(bounds) > pad)
-        if not len(full):
-            return out
-        real = K.ranges(bounds[:-1][full], np.diff(bounds)[full] - pad)
-        at = np.searchsorted(real, bounds[:-1][full])
-        for w, table in enumerate(tables):
-            response = np.zeros((len(real), FILTERS), dtype=np.float32)
-            for j in range(len(table)):
-                for part in range(3):
-                    response += table[j][ids[real + j, part]]
-            out[full, w * FILTERS : (w + 1) * FILTERS] = np.maximum.reduceat(response, at, axis=0)
+        # texts one after the other, at most ``POOLED`` places at a time or a single longer text
+        at = 0
+        while at < len(full):
+            end = max(at + 1, int(np.searchsorted(bounds[full + 1], bounds[full[at]] + POOLED, side="right")))
+            here = full[at:end]
+            first = bounds[here[0]]
+            part = ids[first : bounds[here[-1] + 1]]
+            places = tables[part[:, 0]]
+            for k in (1, 2):
+                places += tables[part[:, k]]
+            # from each text's first word to behind its last; what lies between texts is left out
+            cuts = np.stack([bounds[here], bounds[here + 1] - pad], axis=1).ravel() - first
+            column = 0
+            for w, f in enumerate(self.filters):
+                response = places[:, column : column + FILTERS].copy()
+                for j in range(1, len(f)):
+                    response[:-j] += places[j:, column + j * FILTERS : column + (j + 1) * FILTERS]
+                column += len(f) * FILTERS
+                out[here, w * FILTERS : (w + 1) * FILTERS] = np.maximum.reduceat(response, cuts, axis=0)[::2]
+            at = end
         return np.where(np.diff(bounds)[:, None] > pad, np.maximum(out + self.bias, 0), 0)
 
-    def logits(self, ids: np.ndarray, bounds: np.ndarray, tables: list[list[np.ndarray]]) -> np.ndarray:
+    def logits(self, ids: np.ndarray, bounds: np.ndarray, tables: np.ndarray) -> np.ndarray:
         return np.clip(self.pooled(ids, bounds, tables).astype(np.float64) @ self.output + self.intercept, -50, 50)
 
-    def scores(self, texts: pa.Array, tables: list[list[np.ndarray]]) -> np.ndarray:
+    def scores(self, texts: pa.Array, tables: np.ndarray) -> np.ndarray:
         return _logistic(self.logits(*word_ids(texts), tables))
 
 
@@ -388,9 +405,14 @@ def _thresholds(packed: DataFrame, model: Model) -> dict[str, float]:
         tables = model.tables()
         for _, texts, labels, languages in _shards(batches):
             bins = np.empty(len(labels), dtype=np.int32)
+            held, size, first = [], 0, 0
             for i in range(len(labels)):
-                ids = texts[i]
-                bins[i] = np.floor(model.logits(ids, np.array([0, len(ids)]), tables)[0] * GRID)
+                held.append(texts[i])
+                size += len(held[-1])
+                if size >= POOLED or i == len(labels) - 1:  # some texts together
+                    bounds = np.cumsum([0, *map(len, held)])
+                    bins[first : i + 1] = np.floor(model.logits(np.concatenate(held), bounds, tables) * GRID)
+                    held, size, first = [], 0, i + 1
             yield pa.RecordBatch.from_arrays([pa.array(languages, pa.string()), pa.array(bins), pa.array(labels)], names=["lang", "bin", "toxic"])
         del tables
         K.release()
