@@ -11,7 +11,7 @@ from segcube.functions import measures as M
 from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema, Dimension, Grouping
 from segcube.operators import batch_area, broadcast, layered_chain, query
-from segcube.operators.grouped_phases import grouped_cube, grouped_states, phase_deltas, phase_outputs
+from segcube.operators.grouped_phases import _first_phase_slice, grouped_cube, grouped_states, phase_deltas, phase_outputs, run_phase, sliced_cube
 from segcube.plans import advisor, balance, ledger
 from segcube.sources import scratch, tables
 from segcube.streaming import cubes
@@ -378,3 +378,26 @@ def test_many_orders_are_not_broadcast(spark, monkeypatch):
     assert hints("broadcast") == hints(None) + 1
     monkeypatch.setattr(tables, "BROADCAST_ROWS", 100)
     assert hints("broadcast") == hints(None) and tables.wide(spark, folder, "broadcast").count() == want
+
+
+def test_slices_are_the_whole_cube_and_leave_no_shuffle(spark, monkeypatch):
+    df, schema, grouping = example(spark)
+    assert cube_rows(sliced_cube(df, grouping), schema) == plain_cube(ROWS, schema)
+    guarded = Grouping.by_sizes(schema, (1, 3), "guard")
+    assert cube_rows(sliced_cube(df, guarded), schema) == plain_cube(ROWS, schema)
+    kept = sliced_cube(df, grouping, F.col("sum_v") >= 7)
+    assert cube_rows(kept, schema) == [r for r in plain_cube(ROWS, schema) if int(r.rsplit(", ", 1)[1][:-1]) >= 7]
+    assert sliced_cube(df.limit(0), grouping).count() == 0
+
+    rows = scratch.materialised(tables.wide(spark, SF), "wide")
+    schema, grouping = W.shaped(W.S8)
+    leaves = scratch.materialised(S.lift(rows, schema), "leaves")
+    now = _first_phase_slice(leaves, grouping, schema.bits(grouping.group(1)), 8)
+    for phase in (2, 3):
+        now = run_phase(now, grouping, phase, partitions=8)
+    assert len(re.findall(r"\bExchange\b", now._jdf.queryExecution().executedPlan().toString())) == 3
+
+    few = rows.filter("l_orderkey % 50 = 0 and ship_year in (1996, 1997)").cache()
+    monkeypatch.setattr(tables, "wide", lambda *_: few)
+    plan = W.QUERIES["s14_change_significant"](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan  # the shuffles of its three phases have gone with their slices
