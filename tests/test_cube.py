@@ -10,7 +10,7 @@ from segcube import workloads as W
 from segcube.functions import measures as M
 from segcube.functions import segments as S
 from segcube.functions.schema import MASK, CubeSchema, Dimension, Grouping
-from segcube.operators import batch_area, broadcast, layered_chain, query
+from segcube.operators import batch_area, broadcast, layered_chain, query, value_shards
 from segcube.operators.grouped_phases import _first_phase_slice, grouped_cube, grouped_states, phase_deltas, phase_outputs, run_phase, sliced_cube
 from segcube.plans import advisor, balance, ledger
 from segcube.sources import scratch, tables
@@ -401,3 +401,22 @@ def test_slices_are_the_whole_cube_and_leave_no_shuffle(spark, monkeypatch):
     monkeypatch.setattr(tables, "wide", lambda *_: few)
     plan = W.QUERIES["s14_change_significant"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan  # the shuffles of its three phases have gone with their slices
+
+
+@pytest.mark.parametrize(("above", "by"), [(0, ("town", "shop")), (1, ("town", "shop")), (2, ("shop", "land", "town", "kind")), (10_000, ("land", "town")), (1, ("kind",)), (1, ())])
+def test_a_cube_by_value_is_whole_whatever_counts_as_heavy(spark, monkeypatch, above, by):
+    monkeypatch.setattr(value_shards, "HEAVY_ROWS", above)
+    more = [*ROWS, ((None, None, None, None), 1), ((None, None, None, None), 1), (("US", None, "x", "s*1"), 1), (("CN", "Z", "y", "a,b"), 9)]
+    df, schema, _ = example(spark, more)
+    assert cube_rows(value_shards.value_sharded_cube(df, schema, by), schema) == plain_cube(more, schema)
+    assert value_shards.value_sharded_cube(df.limit(0), schema, by).count() == 0
+
+
+def test_the_whole_skewed_cube_sends_a_row_once_for_each_id(spark, monkeypatch):
+    monkeypatch.setattr(value_shards, "HEAVY_ROWS", 100)
+    cube = W.QUERIES["skewed_cube_whole"](spark, SF)
+    want = grouped_cube(tables.skewed(tables.wide(spark, SF)), W.shaped(W.SKEW)[1])
+    assert sorted(map(repr, cube.collect())) == sorted(map(repr, want.collect()))
+    plan = cube._jdf.queryExecution().sparkPlan().toString()
+    exchanged = re.findall(r"(?:Repartition|RepartitionByExpression|Exchange) ?(?:hashpartitioning\()?\[?(hot_\w+)", plan)
+    assert sorted(exchanged) == ["hot_cust", "hot_part", "hot_supp"], plan
